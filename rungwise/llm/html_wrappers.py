@@ -6,9 +6,9 @@ only one side has becomes optional, neighbouring equal nodes fold into a repeate
 turn a slot from a constant into a variable.  Alignment is a fold of partial wrappers (per input batch, then per
 host and part, then per host), so a host with a third of all pages is never gathered in one task.
 
-Extraction parses each page against its host's wrapper: the content node is the article or main node if the
-wrapper has one, else the node that holds most variable text; what menus, headers, footers, sidebars, notices,
-adverts, forms and comments hold doesn't count, nor do slots that are the same on all of many different pages.
+Extraction parses each page against its host's wrapper: the content node is the article or main node if the page
+has one, else the node that holds most text; what menus, headers, footers, sidebars, notices, adverts, forms and
+comments hold doesn't count, nor, outside articles, do block slots that are the same on all of many different pages.
 """
 
 from __future__ import annotations
@@ -221,11 +221,12 @@ def blocks(page: Node, wrapper: dict | None) -> list[str]:
     sure = wrapper is not None and wrapper["n"] >= SURE_PAGES
     slots = wrapper["w"] if sure else None
     out: list[str] = []
-    if content:
-        for node, path in content:
-            _say(node, _slot_at(slots, path), out, True)
+    if content:  # an article's own words count, whether or not other pages say the same
+        for node, _ in content:
+            _say(node, None, out)
     else:
-        _say(_densest(page), None, out, False)
+        node, path = _densest(page)
+        _say(node, _slot_at(slots, path), out)
     return [b for b in out if b]
 
 
@@ -255,21 +256,21 @@ def _mass(node: Node) -> int:
     return sum(len(c) if isinstance(c, str) else 0 if c.away or c.name == "a" else _mass(c) for c in node.children)
 
 
-def _densest(page: Node) -> Node:
-    """From the root down, follow the child that holds most of the text."""
-    node = page
+def _densest(page: Node) -> tuple[Node, tuple]:
+    """From the root down, follow the child that holds most of the text; the node and the keys that lead to it."""
+    node, path = page, ()
     while True:
         kids = [(_mass(c), c) for c in node.children if isinstance(c, Node) and not c.away]
         if not kids:
-            return node
+            return node, path
         most, best = max(kids, key=lambda x: x[0])
         if best.name not in _BLOCK or most < 0.7 * _mass(node) or best.name in ("p", "li", "blockquote", "pre"):
-            return node
-        node = best
+            return node, path
+        node, path = best, (*path, best.key)
 
 
-def _say(node: Node, slots: dict | None, out: list[str], known: bool) -> None:
-    """Append the blocks of ``node``; constant slots of sure wrappers are left out inside unrepeated nodes."""
+def _say(node: Node, slots: dict | None, out: list[str]) -> None:
+    """Append the blocks of ``node``; constant slots of the wrapper are left out inside unrepeated blocks."""
     line: list[str] = []
 
     def end():
@@ -282,7 +283,7 @@ def _say(node: Node, slots: dict | None, out: list[str], known: bool) -> None:
         kids = {c["k"]: c for c in slot["c"]} if slot else {}
         for child in at.children:
             if isinstance(child, str):
-                if slot is None or slot["t"] is True or slot["t"] is None or at.name in ("article", "main", "body") or slot["m"] in "+*":
+                if slot is None or slot["t"] is True or slot["t"] is None or at.name not in _BLOCK or slot["m"] in "+*":
                     line.append(entities.unescape(child))
             elif not child.away:
                 if child.name in _BLOCK:

@@ -198,10 +198,12 @@ def sanitise(docs: DataFrame, disclosure: float = DISCLOSURE, support: int = SUP
     """``docs`` with ``text`` masked; all rows and columns stay."""
     found = find_personal_data(docs, disclosure, support).select(F.col("doc_id").alias("__id"), F.col("rk").alias("__rk"), F.col("spans").alias("__spans")).where("__spans <> ''").dropDuplicates(["__id", "__rk"])
 
+    names = docs.columns
+
     def run(batches):
         for batch in batches:
             texts = [masked(t, s or "") for t, s in zip(batch.column("text").to_pylist(), batch.column("__spans").to_pylist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([pa.array(texts, pa.string()) if n == "text" else batch.column(n) for n in docs.columns], docs.columns)
+            yield pa.RecordBatch.from_arrays([pa.array(texts, pa.string()) if n == "text" else batch.column(n) for n in names], names)
 
     on = (F.col("doc_id") == F.col("__id")) & (F.xxhash64(docs["text"].cast("string")) == F.col("__rk"))
     return docs.join(found, on, "left").drop("__id", "__rk").mapInArrow(run, docs.schema)

@@ -18,8 +18,8 @@ SHARDS = 24
 ROUNDS = 4
 #: Rows that one window task ranks, about; salts grow with the table so that this holds.
 ROWS_PER_RANK = 50_000
-#: A group part holds at most this share of a shard's rows.
-PART_OF_SHARD = 0.1
+#: A group part holds at most this share of a shard's rows, but never under SMALL_PART rows where a shard has as many.
+PART_OF_SHARD, SMALL_PART = 0.1, 32
 
 
 def _ranked(rows: DataFrame, keys: list[str], order: list, salts: int, salt_of) -> DataFrame:
@@ -59,7 +59,7 @@ def propagate(nodes: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS, slac
     """
     tied = nodes.groupBy("link").agg(F.count("*").alias("members")).where("link is not null and members > 1")
     total = nodes.count()
-    part = max(2, int(PART_OF_SHARD * total / shards))
+    part = max(2, int(PART_OF_SHARD * total / shards), min(SMALL_PART, total // shards))
     salts = max(1, -(-total // (ROWS_PER_RANK * shards)) * 4)
     piece = F.pmod(F.xxhash64("doc_id", F.lit("part")), F.ceil(F.col("members") / part))
     start = F.pmod(F.xxhash64("doc_id", "crc"), F.lit(shards)).cast("int")
