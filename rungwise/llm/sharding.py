@@ -50,7 +50,7 @@ def _quotas(asked: dict[tuple[int, int], int], room: list[int]) -> dict[tuple[in
     return granted
 
 
-def propagate(nodes: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS, slack: float = 0.05) -> DataFrame:
+def propagate(nodes: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS, slack: float = 0.2) -> DataFrame:
     """``nodes(doc_id, link, ...)`` -> the same rows with ``shard`` and ``slot``.
 
     ``link`` is any hashable group key; rows with a null link have no neighbours.  Row counts of the shards end at
