@@ -120,14 +120,19 @@ def home_column(levels: int) -> Column:
 
 def encode(blocks: DataFrame, law: Law, s: LadderSchedule, n: int, words: bool = True) -> LadderStore:
     """Blocks ``(chunk, blk, n_sym, body)`` -> store.  ``words`` False leaves the index words out (costs only)."""
-    level0 = with_groups(blocks.withColumn("settled", settled(F.col("body"), law, s.num, s.den)), s, n)
+    tested = blocks.withColumn("settled", settled(F.col("body"), law, s.num, s.den))
+    return store_of(tested, law, s, n, word_encoder(law, s)(F.col("body"), F.col("settled")) if words else F.lit(None).cast("binary"))
+
+
+def store_of(tested: DataFrame, law: Law, s: LadderSchedule, n: int, word: Column | None = None) -> LadderStore:
+    """Blocks with ``settled``, and ``word`` as a column of theirs or as given, -> store."""
+    level0 = with_groups(tested, s, n)
     _, groups = climb(level0, s)
     state = level0
     for i, g in enumerate(groups, 1):
         state = state.join(g.select("chunk", F.col("grp").alias(f"g{i}"), F.col("open_count").alias(f"open{i}"), F.col("n_child").alias(f"n{i}"), F.col("settled").alias(f"settled{i}")), ["chunk", f"g{i}"])
     state = state.withColumn("home", home_column(len(groups)))
-    word = word_encoder(law, s)(F.col("body"), F.col("settled")) if words else F.lit(None).cast("binary")
-    blocks0 = level0.select("chunk", "blk", "n_sym", "settled", word.alias("word"))
+    blocks0 = level0.select("chunk", "blk", "n_sym", "settled", (F.col("word") if word is None else word).alias("word"))
     return LadderStore(blocks0, groups, state.where("not settled").select("chunk", "blk", "body", "home"), s, law, n, state)
 
 

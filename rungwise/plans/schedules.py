@@ -172,3 +172,16 @@ PRESETS = {
     "index16": dict(source="li_small_qty", b0=16, num=1, den=2, fanouts=[8, 16]),
 }
 RANKED_DEMO = dict(source="li_small_qty", b0=1024, b1=64, num=1, den=2, open_num=1, open_den=2)
+
+
+def write_preamble(b0: int, k0: int) -> str:
+    """Bits that tell a reader ``b0`` and ``k0``: their common width in unary, a zero, then both numbers."""
+    width = max(b0.bit_length(), k0.bit_length(), 1)
+    return "1" * width + "0" + format(b0, f"0{width}b") + format(k0, f"0{width}b")
+
+
+def read_preamble(bits: str) -> tuple[int, int, int]:
+    """``b0``, ``k0`` and the number of bits they took."""
+    width = bits.index("0")
+    at = width + 1
+    return int(bits[at : at + width], 2), int(bits[at + width : at + 2 * width], 2), at + 2 * width
