@@ -5,9 +5,9 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from . import oracles as sql
-from .operators import baselines, escape, ladder, overlap, ranked
+from .operators import baselines, codeword, escape, ladder, overlap, ranked
 from .operators.blocks import cut_blocks, settled, symbol_count
-from .queries import _blocks, _ranked, edits, spans
+from .queries import _blocks, _ranked, _store, edits, spans
 from .sources.catalog import SOURCES, class_text, index_rows, positions, read_table
 
 UNITS = 97
@@ -109,7 +109,25 @@ def ranked_roundtrip(spark, sf_dir):
     return ranked.answer(subs, blocks, asked, s, n).select(F.col("req_id").alias("blk"), F.col("value").alias("body"), "failed")
 
 
-QUERIES = {f.__name__: f for f in (edit_range_join, cell_overlap, store_diff, ladder_update_batch_net, ladder_read_scattered, source_stress, lz_fixed_word, universal_roundtrip, lz_bound_gap, escape_roundtrip, prefix_free_check, ranked_roundtrip)}
+def ladder_codeword_bits(spark, sf_dir):
+    """The whole codeword, cell by cell."""
+    return codeword.codeword(_store(spark, sf_dir, "deep3", words=True))
+
+
+def _edited(spark, sf_dir, preset):
+    """Stores before and after a batch of edits."""
+    blocks, law, s, n = _blocks(spark, sf_dir, preset)
+    made = edits(blocks, n // s.b0, s.b0).groupBy("blk").agg(F.max_by("body", "edit_id").alias("new"))
+    after = blocks.join(made, "blk", "left").select("chunk", "blk", "n_sym", F.coalesce("new", "body").alias("body"))
+    return ladder.encode(blocks, law, s, n), ladder.encode(after, law, s, n)
+
+
+def ladder_flipped_bits(spark, sf_dir):
+    """What a batch of edits rewrites, by whole cells and by bits that differ."""
+    return codeword.flipped(*_edited(spark, sf_dir, "deep3"))
+
+
+QUERIES = {f.__name__: f for f in (edit_range_join, cell_overlap, store_diff, ladder_update_batch_net, ladder_read_scattered, source_stress, lz_fixed_word, universal_roundtrip, lz_bound_gap, escape_roundtrip, prefix_free_check, ranked_roundtrip, ladder_codeword_bits, ladder_flipped_bits)}
 
 _after = (sql._blk(64), "last_ed AS (SELECT blk, arg_max(body, edit_id) AS nb FROM ed GROUP BY blk)", "after AS (SELECT blk, n_sym, coalesce(nb, body) AS body FROM blk LEFT JOIN last_ed USING (blk))", sql._set(1, 2, "after"))
 _event_edits = "ed AS (SELECT event_id AS edit_id, a.blk, z.body FROM (SELECT event_id, (event_id * 7919 + 5) % (n // 64) AS tb, (event_id * 6007 + 11) % (n // 64) AS sb FROM events, nn) e JOIN blk a ON a.blk = e.tb JOIN blk z ON z.blk = e.sb WHERE a.n_sym = 64 AND z.n_sym = 64)"
