@@ -142,3 +142,12 @@ ORACLES["role_stress"] = _with(_sym("cv_role"), _blk(16), _set(1, 2)) + "SELECT
 ORACLES["edit_windows_tumbling"] = "SELECT date_trunc('day', ts) AS start, count(*) AS edits, count(DISTINCT user_id) AS users FROM events GROUP BY 1"
 ORACLES["edit_windows_sliding"] = "SELECT start, count(*) AS edits FROM (SELECT unnest([time_bucket(INTERVAL 6 HOUR, ts) - INTERVAL (6 * i) HOUR FOR i IN range(4)]) AS start FROM events) GROUP BY start"
 ORACLES["edit_asof"] = "SELECT event_id, coalesce(before, -1) AS before FROM (SELECT event_id, event_type, lag(event_id) OVER (PARTITION BY user_id ORDER BY event_id) AS before FROM events) WHERE event_type = 'purchase'"
+ORACLES["edit_windows_session"] = """WITH marked AS (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS opens FROM events),
+told AS (SELECT user_id, ts, sum(opens) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS sid FROM marked) SELECT user_id, min(ts) AS start, count(*) AS edits FROM told GROUP BY user_id, sid"""
+ORACLES["escape_rate"] = f"""WITH d AS (SELECT doc_id, {_CLASS} AS t FROM documents WHERE length(text) > 0),
+law AS (SELECT code, CAST(sum(length(t) - length(replace(t, CAST(code AS VARCHAR), ''))) AS BIGINT) AS c FROM d, range(4) r(code) GROUP BY code), nn AS (SELECT CAST(sum(c) AS BIGINT) AS n FROM law),
+b AS (SELECT doc_id, t, greatest(length(t) // 256, 1) AS nb, unnest(range(greatest(length(t) // 256, 1))) AS blk FROM d),
+bb AS (SELECT doc_id, blk, substr(t, blk * 256 + 1, CASE WHEN blk = nb - 1 THEN length(t) - blk * 256 ELSE 256 END) AS body FROM b),
+ok AS (SELECT doc_id, blk, any_value(length(body)) AS len, bool_and(abs((length(body) - length(replace(body, CAST(code AS VARCHAR), ''))) * n - length(body) * c) * 2 <= length(body) * c) AS s FROM bb, law, nn GROUP BY doc_id, blk),
+kk AS (SELECT CAST(ceil((-sum(CASE WHEN c > 0 THEN CAST(c AS DOUBLE) / n * log2(CAST(c AS DOUBLE) / n) ELSE 0 END) + 0.5) * 256) AS BIGINT) AS k0 FROM law, nn)
+SELECT doc_id, CAST(sum(len) AS BIGINT) AS n, bool_and(s) AS fits, CAST(1 + CASE WHEN bool_and(s) THEN count(*) * max(k0) ELSE sum(len) * 2 END AS BIGINT) AS bits FROM ok, kk GROUP BY doc_id"""
