@@ -66,16 +66,25 @@ def whole_lz(df: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return df.where(f"length({text_col}) > 0").select(F.col(id_col).alias("seq_id"), F.length(text_col).cast("long").alias("n"), bits.alias("bits")).withColumn("read_bits", F.col("bits")).withColumn("edit_bits", 2 * F.col("bits"))
 
 
-def addressed(blocks: DataFrame, law: Law, n: int) -> DataFrame:
-    """Variable-length words with an explicit table of addresses: ``(blk, len, address)``."""
+def addressed(blocks: DataFrame, law: Law, n: int, range_chunks: int = 1_000_000) -> DataFrame:
+    """Variable-length words with an explicit table of addresses: ``(blk, len, address)``.
+
+    Words are summed by chunk, chunks by ranges of ``range_chunks``, so no window sees more than one range; the
+    ranges' own sums, one row for each million chunks, go through the driver.
+    """
     from pyspark.sql import Window
 
     sized = blocks.select("chunk", "blk", lz_length(law.k)(F.col("body")).alias("len"))
-    sums = sized.groupBy("chunk").agg(F.sum("len").alias("sum"))
-    # chunk sums are few; a window over chunks of one range, then within the chunk
-    starts = sums.withColumn("base", F.coalesce(F.sum("sum").over(Window.partitionBy(F.floor(F.col("chunk") / 1_000_000)).orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
+    sums = sized.groupBy("chunk").agg(F.sum("len").alias("sum")).withColumn("range", F.floor(F.col("chunk") / range_chunks))
+    starts, at = [], 0
+    for r in sorted(sums.groupBy("range").agg(F.sum("sum").alias("sum")).collect()):
+        starts.append((r["range"], at))
+        at += r["sum"]
+    ranges = F.broadcast(blocks.sparkSession.createDataFrame(starts, "range long, start long"))
+    earlier = F.sum("sum").over(Window.partitionBy("range").orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1))
+    bases = sums.withColumn("earlier", F.coalesce(earlier, F.lit(0))).join(ranges, "range").select("chunk", (F.col("start") + F.col("earlier")).alias("base"))
     within = Window.partitionBy("chunk").orderBy("blk").rowsBetween(Window.unboundedPreceding, -1)
-    return sized.withColumn("inner", F.coalesce(F.sum("len").over(within), F.lit(0))).join(starts, "chunk").select("blk", "len", (F.col("base") + F.col("inner")).alias("address"))
+    return sized.withColumn("inner", F.coalesce(F.sum("len").over(within), F.lit(0))).join(bases, "chunk").select("blk", "len", (F.col("base") + F.col("inner")).alias("address"))
 
 
 def syndrome_rows(b: int, rows: int, weight: int = 3) -> list[list[int]]:

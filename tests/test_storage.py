@@ -7,9 +7,10 @@ from pyspark.sql import functions as F
 
 from rungwise import storage_queries as storage
 from rungwise.functions.sql import register, text_bits
+from rungwise.operators.baselines import addressed
 from rungwise.operators.escape import escaped_texts, prefix_free, unescaped_texts
 from rungwise.operators.overlap import multiset_diff, overlapping, valid_at, versions
-from rungwise.plans.schedules import read_preamble, write_preamble
+from rungwise.plans.schedules import Law, read_preamble, write_preamble
 from rungwise.sources.ladder_source import LadderSource, save_blocks
 
 
@@ -98,3 +99,15 @@ def test_queries_match_their_sql(spark, sf, name):
 def test_lz_words_give_their_blocks_back_and_keep_the_bound(spark, sf):
     assert storage.lz_fixed_word(spark, sf).where("NOT same").isEmpty()
     assert storage.lz_bound_gap(spark, sf).where("NOT holds").isEmpty()
+
+
+@pytest.mark.parametrize("range_chunks", [1, 3, 1_000_000])
+def test_addresses_follow_each_other_over_all_ranges(spark, range_chunks):
+    rnd = random.Random(8)
+    rows = [(i // 4, i, "".join(rnd.choice("01") for _ in range(20))) for i in range(40)]
+    got = addressed(spark.createDataFrame(rows, "chunk long, blk long, body string"), Law(("0", "1"), (1, 1)), 800, range_chunks).orderBy("blk").collect()
+    at = 0
+    for r in got:
+        assert r.address == at
+        at += r.len
+    assert len(got) == 40
