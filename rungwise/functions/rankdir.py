@@ -7,7 +7,7 @@ from math import comb
 MINI = 15
 
 
-def _class_number(bits: str) -> int:
+def class_number(bits: str) -> int:
     ahead, n, out = bits.count("1"), len(bits), 0
     for i, b in enumerate(bits):
         if b == "1":
@@ -16,7 +16,7 @@ def _class_number(bits: str) -> int:
     return out
 
 
-def _class_bits(number: int, ones: int, n: int) -> str:
+def class_bits(number: int, ones: int, n: int) -> str:
     out = ""
     for i in range(n):
         if ones and number >= comb(n - 1 - i, ones):
@@ -34,7 +34,7 @@ class RankDirectory:
     def __init__(self, bits: str, mini: int = MINI):
         self.n, self.mini = len(bits), mini
         parts = [bits[i : i + mini] for i in range(0, len(bits), mini)]
-        self.minis = [(p.count("1"), _class_number(p), len(p)) for p in parts]
+        self.minis = [(p.count("1"), class_number(p), len(p)) for p in parts]
         self.before, at = [], 0
         for ones, _, _ in self.minis:
             self.before.append(at)
@@ -42,7 +42,7 @@ class RankDirectory:
         self.ones = at
 
     def bits(self) -> str:
-        return "".join(_class_bits(number, ones, n) for ones, number, n in self.minis)
+        return "".join(class_bits(number, ones, n) for ones, number, n in self.minis)
 
     def rank(self, i: int) -> int:
         """Ones among the first i bits."""
@@ -52,7 +52,7 @@ class RankDirectory:
             return self.ones
         part, rest = divmod(i, self.mini)
         ones, number, n = self.minis[part]
-        return self.before[part] + _class_bits(number, ones, n)[:rest].count("1")
+        return self.before[part] + class_bits(number, ones, n)[:rest].count("1")
 
     def select(self, k: int) -> int:
         """Place (from 0) of the k-th one (from 1), by bisection on rank; -1 if there are fewer."""

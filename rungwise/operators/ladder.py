@@ -10,7 +10,7 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 import pandas as pd
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.typeindex import FIRST_CHAR, TypicalSet, char_of, pack_bits, to_bits, unpack_bits
@@ -243,23 +243,33 @@ def update_state(store: LadderStore, edits: DataFrame) -> DataFrame:
     return out.select("blk", F.col("now").alias("body"), F.col("now_settled").alias("settled"), F.when(F.col("now_settled"), F.lit(0)).otherwise(home).alias("home"))
 
 
-def update_costs(store: LadderStore, edits: DataFrame) -> DataFrame:
-    """``(edit_id, blk, case, old_home, new_home, bits_read, bits_written)``, each edit on the stored state.
+def update_costs(store: LadderStore, edits: DataFrame, sequential: bool = False) -> DataFrame:
+    """``(edit_id, blk, case, old_home, new_home, bits_read, bits_written)`` of every edit.
 
-    Settled to settled rewrites the word.  Open to open reads up to the home cell and rewrites it.  Otherwise every
-    cell up to the higher of the two homes is read and rewritten.
+    Each edit meets the stored state or, if ``sequential``, the state that the edits with smaller ids left (ids are
+    distinct).  Settled to settled rewrites the word.  Open to open reads up to the home cell and rewrites it.
+    Otherwise every cell up to the higher of the two homes is read and rewritten.
+
+    The sequence of edits needs no loop: a block's state is its previous edit's, and a group's open count is the
+    stored one plus the running sum of what earlier edits changed in it.
     """
     s, law = store.schedule, store.law
     at = edits.select("edit_id", "blk", F.col("body").alias("new_body")).join(store.state, "blk").withColumn("new", settled(F.col("new_body"), law, s.num, s.den))
-    shift = F.when(F.col("settled") & ~F.col("new"), 1).when(~F.col("settled") & F.col("new"), -1).otherwise(0)
-    at = at.withColumn("d1", shift)
-    new_home = F.lit(None).cast("int")
-    flags = []
+    if sequential:
+        at = at.withColumn("settled", F.coalesce(F.lag("new").over(Window.partitionBy("blk").orderBy("edit_id")), F.col("settled")))
+    shift = lambda before, after: F.when(F.col(before) & ~F.col(after), 1).when(~F.col(before) & F.col(after), -1).otherwise(0)
+    at = at.withColumn("d1", shift("settled", "new"))
     for i, level in enumerate(s.levels, 1):
-        at = at.withColumn(f"new{i}", F.col(f"open{i}") + F.col(f"d{i}") <= F.floor(F.col(f"n{i}") * level.num / level.den))
-        at = at.withColumn(f"d{i + 1}", F.when(F.col(f"settled{i}") & ~F.col(f"new{i}"), 1).when(~F.col(f"settled{i}") & F.col(f"new{i}"), -1).otherwise(0))
-        flags.append(i)
-    for i in reversed(flags):
+        most = F.floor(F.col(f"n{i}") * level.num / level.den)
+        if sequential:
+            earlier = Window.partitionBy(f"g{i}").orderBy("edit_id").rowsBetween(Window.unboundedPreceding, -1)
+            at = at.withColumn(f"open{i}", F.col(f"open{i}") + F.coalesce(F.sum(f"d{i}").over(earlier), F.lit(0))).withColumn(f"settled{i}", F.col(f"open{i}") <= most)
+        at = at.withColumn(f"new{i}", F.col(f"open{i}") + F.col(f"d{i}") <= most)
+        at = at.withColumn(f"d{i + 1}", shift(f"settled{i}", f"new{i}"))
+    if sequential:
+        at = at.withColumn("home", home_column(len(s.levels)))
+    new_home = F.lit(None).cast("int")
+    for i in range(len(s.levels), 0, -1):
         new_home = F.when(F.col(f"new{i}"), F.lit(i)).otherwise(new_home)
     new_home = F.when(F.col("new"), F.lit(0)).otherwise(new_home)
     at = at.withColumn("new_home", new_home).withColumn("case", F.concat(F.when(F.col("settled"), "S").otherwise("O"), F.when(F.col("new"), "S").otherwise("O")))
