@@ -17,28 +17,36 @@ from .common import cut, small_batches
 
 #: Sites from which on a line counts as boilerplate.
 MIN_SITES = 10
-#: Longer lines are passages, not boilerplate; they are other operators' business.
+#: Longest lines that ``remove_boilerplate`` judges (op9's SQL says so); ``without_boilerplate`` judges every length.
 MAX_CHARS = 100
 #: Estimates within this share of the threshold are counted exactly.
 NEAR = 0.3
 SKETCH_LG_K = 11
-#: Boilerplate lines that are shipped to every executor at most (each has MAX_CHARS characters or fewer).
+#: Boilerplate lines, and bytes of them, that are shipped to every executor at most; beyond it places are joined.
 SHIPPED_LINES = 50_000
+SHIPPED_BYTES = 20_000_000
 
 
-def _lines(docs: DataFrame) -> DataFrame:
-    """Every short non-blank line with its key, place and site."""
+def _lines(docs: DataFrame, max_chars: int | None) -> DataFrame:
+    """Every non-blank line of up to ``max_chars`` characters (None: of any length) with its key, place and site."""
     rows = docs.select("doc_id", "rk", "source", F.posexplode(F.split("text", "\n")).alias("pos", "raw"))
-    return rows.select("doc_id", "rk", "source", "pos", F.trim("raw").alias("line")).where((F.col("line") != "") & (F.length("line") <= MAX_CHARS)).withColumn("h", F.xxhash64("line"))
+    return rows.select("doc_id", "rk", "source", "pos", F.trim("raw").alias("line")).where((F.col("line") != "") & (F.lit(True) if max_chars is None else F.length("line") <= max_chars)).withColumn("h", F.xxhash64("line"))
 
 
 def boilerplate(lines: DataFrame, min_sites: int = MIN_SITES) -> DataFrame:
     """``(h, line)`` of the lines on at least ``min_sites`` distinct sites; a null site is no site."""
-    sketched = lines.groupBy("h", "line").agg(F.count("source").alias("n"), F.hll_sketch_estimate(F.hll_sketch_agg("source", F.lit(SKETCH_LG_K))).alias("sites"))
-    spread = cut(sketched.where((F.col("n") >= min_sites) & (F.col("sites") >= min_sites * (1 - NEAR))).select("h", "line", "sites"))
-    near = spread.where(F.col("sites") <= min_sites * (1 + NEAR)).select("h", "line")
-    exact = lines.join(near, ["h", "line"], "left_semi").groupBy("h", "line", "source").agg(F.lit(1).alias("one")).groupBy("h", "line").agg(F.count("source").alias("sites")).where(F.col("sites") >= min_sites)
-    return cut(spread.where(F.col("sites") > min_sites * (1 + NEAR)).select("h", "line").unionByName(exact.select("h", "line")))
+    # lines of any length: their hashes are counted, and only the lines of spread hashes travel
+    sketched = lines.groupBy("h").agg(F.count("source").alias("n"), F.hll_sketch_estimate(F.hll_sketch_agg("source", F.lit(SKETCH_LG_K))).alias("sites"))
+    spread = cut(sketched.where((F.col("n") >= min_sites) & (F.col("sites") >= min_sites * (1 - NEAR))).select("h", "sites"))
+    near = spread.where(F.col("sites") <= min_sites * (1 + NEAR)).select("h")
+    exact = lines.join(near, "h", "left_semi").groupBy("h", "line", "source").agg(F.lit(1).alias("one")).groupBy("h", "line").agg(F.count("source").alias("sites")).where(F.col("sites") >= min_sites)
+    over = lines.join(spread.where(F.col("sites") > min_sites * (1 + NEAR)).select("h"), "h", "left_semi").groupBy("h", "line").agg(F.lit(1).alias("one"))
+    return cut(over.select("h", "line").unionByName(exact.select("h", "line")))
+
+
+def _shippable(found: DataFrame) -> bool:
+    row = found.agg(F.count("*").alias("n"), F.coalesce(F.sum(F.octet_length("line")), F.lit(0)).alias("size")).first()
+    return row.n <= SHIPPED_LINES and row["size"] <= SHIPPED_BYTES
 
 
 def _kept(text: str | None, gone) -> tuple[int, int, str]:
@@ -70,8 +78,8 @@ def remove_boilerplate(docs: DataFrame, min_sites: int = MIN_SITES) -> DataFrame
     spark = docs.sparkSession
     small_batches(spark)
     keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.col("source").cast("string").alias("source")).withColumn("rk", F.xxhash64("text"))
-    found = boilerplate(_lines(keyed), min_sites)
-    if found.count() <= SHIPPED_LINES:
+    found = boilerplate(_lines(keyed, MAX_CHARS), min_sites)
+    if _shippable(found):
         shipped = spark.sparkContext.broadcast(frozenset(r.line for r in found.select("line").collect()))
 
         def by_line(batches):
@@ -86,12 +94,13 @@ def remove_boilerplate(docs: DataFrame, min_sites: int = MIN_SITES) -> DataFrame
             gone = [set(g or ()) for g in batch.column("gone").to_pylist()]
             yield _batch(batch.column("doc_id"), [_kept(t, lambda i, _, g=g: i in g) for t, g in zip(batch.column("text").to_pylist(), gone, strict=True)])
 
-    places = _lines(keyed).join(found, ["h", "line"]).groupBy("doc_id", "rk").agg(F.collect_set("pos").alias("gone"))
+    places = _lines(keyed, MAX_CHARS).join(found, ["h", "line"]).groupBy("doc_id", "rk").agg(F.collect_set("pos").alias("gone"))
     return keyed.join(places, ["doc_id", "rk"], "left").select("doc_id", "text", "gone").mapInArrow(by_place, _RESULT)
 
 
 def without_boilerplate(docs: DataFrame, min_sites: int = MIN_SITES) -> DataFrame:
     """``docs`` with boilerplate lines taken out of ``text`` (and ``n_chars`` adapted); all columns and rows stay.
+    Lines of every length are judged.
 
     A document whose lines would all go keeps its text: it has no other content, and its copies on other sites
     are the business of near-duplicate search.
@@ -99,8 +108,8 @@ def without_boilerplate(docs: DataFrame, min_sites: int = MIN_SITES) -> DataFram
     spark = docs.sparkSession
     small_batches(spark)
     keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.col("source").cast("string").alias("source")).withColumn("rk", F.xxhash64("text"))
-    found = boilerplate(_lines(keyed), min_sites)
-    small = found.count() <= SHIPPED_LINES
+    found = boilerplate(_lines(keyed, None), min_sites)
+    small = _shippable(found)
     names = docs.columns
 
     def rewritten(batch: pa.RecordBatch, texts: list) -> pa.RecordBatch:
@@ -129,6 +138,6 @@ def without_boilerplate(docs: DataFrame, min_sites: int = MIN_SITES) -> DataFram
             gone = [set(g or ()) for g in batch.column("__gone").to_pylist()]
             yield rewritten(batch, [left(t, lambda i, _, g=g: i in g) for t, g in zip(batch.column("text").cast(pa.string()).to_pylist(), gone, strict=True)])
 
-    places = _lines(keyed).join(found, ["h", "line"]).groupBy(F.col("doc_id").alias("__id"), F.col("rk").alias("__rk")).agg(F.collect_set("pos").alias("__gone"))
+    places = _lines(keyed, None).join(found, ["h", "line"]).groupBy(F.col("doc_id").alias("__id"), F.col("rk").alias("__rk")).agg(F.collect_set("pos").alias("__gone"))
     joined = docs.join(places, (F.col("doc_id") == F.col("__id")) & (F.xxhash64(docs["text"].cast("string")) == F.col("__rk")), "left").drop("__id", "__rk")
     return joined.mapInArrow(by_place, docs.schema)
