@@ -1,10 +1,11 @@
-"""SimHash near-duplicates by multi-index hashing.
+"""SimHash near-duplicates by midpoints in one table of whole prints.
 
 Fingerprints: every bit is the strict majority of that bit in the XXH64 values of a text's word shingles.
-Search: the 64 bits are cut into segments; inside each segment the Hamming ball of radius 1 is enumerated, and
-the fingerprint with that segment replaced is looked up.  Two fingerprints at distance 2 or less always meet in
-such a table row, and a table row never holds more than 65 distinct fingerprints, so a dense group of copies
-costs rows in proportion to its members, never pairs.  Complete distances are verified before a link counts.
+Search: every fingerprint is entered under itself and the 64 values one bit away, and fingerprints with an equal
+entry meet.  Two fingerprints at distance 2 or less always share an entry, and a table row never holds more than 65
+distinct fingerprints, so a dense group of copies costs rows in proportion to its members, never pairs.  The
+segments only part the bit positions; no table is keyed by a segment.  Complete distances are verified before a
+link counts.
 """
 
 from __future__ import annotations
