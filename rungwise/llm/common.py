@@ -8,6 +8,7 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 #: Rows of one Arrow batch.  Whole texts travel in these batches, so the default of 10,000 is too many.
 ARROW_ROWS = 1000
@@ -25,9 +26,15 @@ def small_batches(spark: SparkSession) -> None:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The cluster's shared folder; a temporary one only where the session names none (tests)."""
+    """The folder that ``spark.checkpoint.dir`` names.
+
+    A session without one gets a temporary folder only if it runs in a single process (``local`` masters);
+    on a cluster, where executors could not see it, an error tells to set the folder.
+    """
     folder = spark.conf.get("spark.checkpoint.dir", None)
     if not folder:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         folder = tempfile.mkdtemp(prefix="rungwise-")
         spark.conf.set("spark.checkpoint.dir", folder)
     return folder
@@ -52,6 +59,22 @@ def drop_cut(df: DataFrame | None) -> None:
         _written[:] = [x for x in _written if x[1] != path]
 
 
+#: A key with more than this share of all rows is hot; so there are at most 1 / HOT_SHARE hot keys.
+HOT_SHARE = 1 / 500
+
+
+def keyed_join(rows: DataFrame, table: DataFrame, key: str, total: int) -> DataFrame:
+    """Inner join of ``rows`` with ``table(key, __n, ...)``, which has one row a key; ``__n`` counts the rows of the key.
+
+    Keys with over ``HOT_SHARE`` of the ``total`` rows, a bounded number, are broadcast, so that no task gets all
+    rows of a hot key; the others are joined by their key.
+    """
+    most = max(1, int(total * HOT_SHARE))
+    hot, rest = table.where(F.col("__n") > most).drop("__n"), table.where(F.col("__n") <= most).drop("__n")
+    cool = rows.join(F.broadcast(hot.select(key)), key, "left_anti")
+    return rows.join(F.broadcast(hot), key).unionByName(cool.join(rest.hint("merge"), key))
+
+
 def _delete(spark: SparkSession, path: str) -> None:
     with contextlib.suppress(Exception):
         jvm = spark._jvm

@@ -5,25 +5,25 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, drop_cut
+from .common import cut, drop_cut, keyed_join
 
 
 def _both_ways(edges: DataFrame) -> DataFrame:
     return edges.select(F.explode(F.array(F.struct(F.col("a").alias("u"), F.col("b").alias("v")), F.struct(F.col("b").alias("u"), F.col("a").alias("v")))).alias("e")).select("e.*")
 
 
-def _large_star(edges: DataFrame) -> DataFrame:
+def _large_star(edges: DataFrame, n: int) -> DataFrame:
     """Every larger neighbour of a node is tied to the node's smallest neighbour."""
     near = _both_ways(edges)
-    least = near.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
-    return near.where("v > u").join(least, "u").select(F.col("v").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
+    least = near.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"), F.count("*").alias("__n"))
+    return keyed_join(near.where("v > u"), least, "u", n).select(F.col("v").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
 
 
-def _small_star(edges: DataFrame) -> DataFrame:
+def _small_star(edges: DataFrame, n: int) -> DataFrame:
     """Every node and its smaller neighbours are tied to the smallest of them."""
     down = edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v"))
-    least = down.groupBy("u").agg(F.min("v").alias("m"))
-    tied = down.join(least, "u").select(F.explode(F.array(F.struct(F.col("v").alias("a"), F.col("m").alias("b")), F.struct(F.col("u").alias("a"), F.col("m").alias("b")))).alias("e")).select("e.*")
+    least = down.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("__n"))
+    tied = keyed_join(down, least, "u", n).select(F.explode(F.array(F.struct(F.col("v").alias("a"), F.col("m").alias("b")), F.struct(F.col("u").alias("a"), F.col("m").alias("b")))).alias("e")).select("e.*")
     return tied.where("a <> b").distinct()
 
 
@@ -32,18 +32,22 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
 
     Self-loops are ignored and a node without edges does not appear.  The number of rounds grows with the
     logarithm of the component size; each round is written to the shared folder, so a lost executor repeats
-    one round at most.  Raises if the stars haven't settled after ``max_rounds``.
+    one round at most.  A hub's edges are spread over all tasks.  Raises if the stars haven't settled after
+    ``max_rounds``.
     """
     now = cut(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct())
-    mark = None
-    for _ in range(max_rounds):
-        after = cut(_small_star(_large_star(now)))
+    mark, n = None, now.count()
+    for _ in range(max_rounds if n else 0):
+        between = cut(_large_star(now, 2 * n))
+        after = cut(_small_star(between, 2 * n))
         row = after.agg(F.count("*").alias("n"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")).alias("h")).first()
         drop_cut(now)
+        drop_cut(between)
         now = after
         if mark == (row.n, row.h):
             break
-        mark = (row.n, row.h)
+        mark, n = (row.n, row.h), row.n
     else:
-        raise RuntimeError("components did not settle")
+        if n:
+            raise RuntimeError("components did not settle")
     return now.select(F.col("a").alias("node"), F.col("b").alias("component")).unionByName(now.select(F.col("b").alias("node"), F.col("b").alias("component")).distinct())
