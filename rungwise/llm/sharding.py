@@ -1,10 +1,11 @@
 """Balanced label propagation: linked documents move towards their neighbours' shards under capacity quotas.
 
 DataFrame functions only.  A link group is a set of documents that belong together (here: equal texts).  A group
-too large for a share of one shard is split beforehand, so that neither a shard nor a task takes all of it.
-Every round counts each group's members by shard, proposes to move the others to the group's best shard, and
-grants moves between two shards up to what flows the other way plus the free room of the target.  At last the
-least linked rows level the shards: row counts differ by one at most.
+is split beforehand only if it is larger than a shard, into parts of a shard's size.  Every round counts each
+group's members by shard, proposes to move the others to the group's best shard, and grants moves between two
+shards up to what flows the other way plus the room that linked rows have in the target.  At last rows level the
+shards, those without links first: row counts differ by one at most.  Rows of large groups are dealt to the counting and ranking tasks by
+document, those of small groups by group, so that no task takes all of a large one.
 """
 
 from __future__ import annotations
@@ -12,14 +13,12 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import cut, drop_cut
+from .common import cut, drop_cut, keyed_join
 
 SHARDS = 24
-ROUNDS = 4
+ROUNDS = 5
 #: Rows that one window task ranks, about; salts grow with the table so that this holds.
 ROWS_PER_RANK = 50_000
-#: A group part holds at most this share of a shard's rows, but never under SMALL_PART rows where a shard has as many.
-PART_OF_SHARD, SMALL_PART = 0.1, 32
 
 
 def _ranked(rows: DataFrame, keys: list[str], order: list, salts: int, salt_of) -> DataFrame:
@@ -50,23 +49,32 @@ def _quotas(asked: dict[tuple[int, int], int], room: list[int]) -> dict[tuple[in
     return granted
 
 
-def propagate(nodes: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS, slack: float = 0.2) -> DataFrame:
+def propagate(nodes: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS) -> DataFrame:
     """``nodes(doc_id, link, ...)`` -> the same rows with ``shard`` and ``slot``.
 
     ``link`` is any hashable group key; rows with a null link have no neighbours.  Row counts of the shards end at
     most one apart, and slots are gapless from 0 in each shard.  Repeated rows are rows of their own, ties are
     broken by hashes, an empty table gives an empty result, other columns are kept.
     """
-    tied = nodes.groupBy("link").agg(F.count("*").alias("members")).where("link is not null and members > 1")
     total = nodes.count()
-    part = max(2, int(PART_OF_SHARD * total / shards), min(SMALL_PART, total // shards))
+    tied = nodes.groupBy("link").agg(F.count("*").alias("__n")).where("link is not null and __n > 1").withColumn("members", F.col("__n"))
+    part = max(2, total // shards)
     salts = max(1, -(-total // (ROWS_PER_RANK * shards)) * 4)
-    piece = F.pmod(F.xxhash64("doc_id", F.lit("part")), F.ceil(F.col("members") / part))
+    piece = F.floor(F.pmod(F.xxhash64("doc_id", F.lit("part")), F.lit(1 << 20)) * F.col("members") / (part << 20))  # full parts, then the rest
     start = F.pmod(F.xxhash64("doc_id", "crc"), F.lit(shards)).cast("int")
-    state = cut(nodes.join(tied, "link", "left").withColumn("grp", F.when(F.col("members").isNotNull(), F.xxhash64("link", piece))).drop("members").withColumn("shard", start))
-    capacity = int(-(-total // shards) * (1 + slack)) + 1
+    # a key of its own for every row without a link, so that such rows aren't dealt to one task
+    alone = F.concat(F.lit("-"), F.coalesce(F.col("doc_id").cast("string"), F.lit("")), F.lit("-"), F.col("crc").cast("string")).cast("binary")
+    keyed = nodes.withColumn("own", F.col("link").isNull()).withColumn("link", F.coalesce("link", alone))
+    grouped = keyed_join(keyed.where("not own"), tied, "link", total)
+    grouped = grouped.withColumn("grp", F.xxhash64("link", piece)).withColumn("deal", F.when(F.least(F.col("members"), F.lit(part)) > max(1, total // 500), F.xxhash64("doc_id", "grp")).otherwise(F.col("grp")))
+    single = nodes.groupBy("link").agg(F.count("*").alias("__n")).where("link is not null and __n = 1").select("link")
+    unlinked = keyed.where("own").unionByName(keyed.where("not own").join(single.hint("merge"), "link", "left_semi"))
+    unlinked = unlinked.withColumn("grp", F.lit(None).cast("long")).withColumn("deal", F.xxhash64("doc_id", F.lit("level")))
+    columns = [*(F.when(F.col("own"), None).otherwise(F.col("link")).alias("link") if c == "link" else F.col(c) for c in nodes.columns), "grp", "deal"]
+    state = cut(grouped.select(*columns).unionByName(unlinked.select(*columns)).withColumn("shard", start))
+    capacity = -(-total // shards)
     for _ in range(rounds if total else 0):
-        state, moved = _round(state, shards, capacity, salts)
+        state, moved = _round(state, shards, capacity, salts, total)
         if not moved:
             break
     sizes = _sizes(state, shards)
@@ -76,7 +84,7 @@ def propagate(nodes: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS, slac
     take, leave = _running(over), _running(under)
     # rows without links go first, then whole small groups side by side
     first = F.when(F.col("grp").isNull(), 0).otherwise(1)
-    ordered = _ranked(state.withColumn("tied", first), ["shard", "tied"], ["grp", "doc_id", "crc"], salts, F.coalesce(F.col("grp"), F.xxhash64("doc_id", F.lit("level"))))
+    ordered = _ranked(state.withColumn("tied", first), ["shard", "tied"], ["grp", "doc_id", "crc"], salts, F.col("deal"))
     loose = {r.shard: r.n for r in state.where("grp is null").groupBy("shard").agg(F.count("*").alias("n")).collect()}
     offsets = _pick(F.col("shard"), [loose.get(s, 0) for s in range(shards)])
     ordered = ordered.withColumn("rank", F.col("rank") + F.when(F.col("tied") == 1, offsets).otherwise(0))
@@ -85,7 +93,7 @@ def propagate(nodes: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS, slac
     levelled = cut(ordered.withColumn("shard", F.when(F.col("rank") < _pick(F.col("shard"), over), target).otherwise(F.col("shard"))).drop("rank", "tied"))
     drop_cut(state)
     placed = _ranked(levelled, ["shard"], ["doc_id", "crc"], salts * 2, F.xxhash64("doc_id", F.lit("slot")))
-    return placed.withColumnRenamed("rank", "slot").drop("grp")
+    return placed.withColumnRenamed("rank", "slot").drop("grp", "deal")
 
 
 def _running(values: list[int]) -> list[int]:
@@ -100,20 +108,21 @@ def _pick(index, values: list[int]):
     return F.element_at(F.array(*[F.lit(v).cast("long") for v in values]), (index + 1).cast("int"))
 
 
-def _round(state: DataFrame, shards: int, capacity: int, salts: int) -> tuple[DataFrame, int]:
+def _round(state: DataFrame, shards: int, capacity: int, salts: int, total: int) -> tuple[DataFrame, int]:
     """One round of propagation; the new state and the number of rows that moved."""
     linked = state.where("grp is not null")
     held = linked.groupBy("grp", "shard").agg(F.count("*").alias("n"))
-    best = held.groupBy("grp").agg(F.max(F.struct("n", F.xxhash64("grp", "shard").alias("tie"), F.col("shard").alias("best"))).alias("b")).select("grp", F.col("b.best").alias("best"), F.col("b.n").alias("pull"))
-    wishes = cut(linked.join(best, "grp").where("best <> shard").select("doc_id", "crc", "grp", "shard", "best", "pull"))
+    best = held.groupBy("grp").agg(F.max(F.struct("n", F.xxhash64("grp", "shard").alias("tie"), F.col("shard").alias("best"))).alias("b"), F.sum("n").alias("__n")).select("grp", F.col("b.best").alias("best"), F.col("b.n").alias("pull"), "__n")
+    wishes = cut(keyed_join(linked, best, "grp", total).where("best <> shard").select("doc_id", "crc", "grp", "deal", "shard", "best", "pull"))
     asked = {(r.shard, r.best): r.n for r in wishes.groupBy("shard", "best").agg(F.count("*").alias("n")).collect()}
     if not asked:
         drop_cut(wishes)
         return state, 0
-    sizes = _sizes(state, shards)
+    # rows without links make room at last, so only linked rows count against a shard's capacity
+    sizes = _sizes(linked, shards)
     granted = _quotas(asked, [capacity - n for n in sizes])
     table = F.array(*[F.lit(granted.get((a, b), 0)).cast("long") for a in range(shards) for b in range(shards)])
-    ranked = _ranked(wishes, ["shard", "best"], ["grp", "doc_id", "crc"], salts, F.col("grp"))
+    ranked = _ranked(wishes, ["shard", "best"], ["grp", "doc_id", "crc"], salts, F.col("deal"))
     moves = ranked.where(F.col("rank") < F.element_at(table, (F.col("shard") * shards + F.col("best") + 1).cast("int"))).groupBy("doc_id", "crc", "grp", "shard").agg(F.first("best").alias("to"))
     after = cut(state.join(moves, ["doc_id", "crc", "grp", "shard"], "left").withColumn("shard", F.coalesce("to", "shard")).drop("to").select(*state.columns))
     drop_cut(wishes)
@@ -122,10 +131,12 @@ def _round(state: DataFrame, shards: int, capacity: int, salts: int) -> tuple[Da
 
 
 def shard_documents(docs: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS) -> DataFrame:
-    """One row per row of ``docs``: doc_id, size, text_crc32, law, shard, slot, grown_shard,.
+    """One row per row of ``docs``: doc_id, size, text_crc32, law, shard, slot, grown_shard.
 
-    Equal texts are linked; a null text is linked to nothing, has 8 bytes and the checksum of an empty text.
-    The law is ``rows``. 
+    The law is ``rows``: the shards' row counts differ by one at most, so ``grown_shard`` is null.  Equal texts are
+    linked; a null text is linked to nothing, has 8 bytes and the checksum of an empty text.  Repeated rows are
+    rows of their own, each with a slot; ties between shards and between rows are broken by hashes; an empty table
+    gives an empty result; other columns are ignored.
     """
     text = F.col("text").cast("string")
     nodes = docs.select(F.col("doc_id").cast("long").alias("doc_id"), (F.coalesce(F.octet_length(text), F.lit(0)) + 8).cast("long").alias("size"), F.crc32(F.coalesce(text, F.lit("")).cast("binary")).alias("crc"), F.unhex(F.md5(text.cast("binary"))).alias("link"))
