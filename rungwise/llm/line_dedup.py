@@ -17,8 +17,6 @@ from .common import cut, small_batches
 
 #: Sites from which on a line counts as boilerplate.
 MIN_SITES = 10
-#: Longest lines that ``remove_boilerplate`` judges (op9's SQL says so); ``without_boilerplate`` judges every length.
-MAX_CHARS = 100
 #: Estimates within this share of the threshold are counted exactly.
 NEAR = 0.3
 SKETCH_LG_K = 11
@@ -27,15 +25,15 @@ SHIPPED_LINES = 50_000
 SHIPPED_BYTES = 20_000_000
 
 
-def _lines(docs: DataFrame, max_chars: int | None) -> DataFrame:
-    """Every non-blank line of up to ``max_chars`` characters (None: of any length) with its key, place and site."""
+def _lines(docs: DataFrame) -> DataFrame:
+    """Every non-blank line with its key, place and site."""
     rows = docs.select("doc_id", "rk", "source", F.posexplode(F.split("text", "\n")).alias("pos", "raw"))
-    return rows.select("doc_id", "rk", "source", "pos", F.trim("raw").alias("line")).where((F.col("line") != "") & (F.lit(True) if max_chars is None else F.length("line") <= max_chars)).withColumn("h", F.xxhash64("line"))
+    return rows.select("doc_id", "rk", "source", "pos", F.trim("raw").alias("line")).where("line <> ''").withColumn("h", F.xxhash64("line"))
 
 
 def boilerplate(lines: DataFrame, min_sites: int = MIN_SITES) -> DataFrame:
     """``(h, line)`` of the lines on at least ``min_sites`` distinct sites; a null site is no site."""
-    # lines of any length: their hashes are counted, and only the lines of spread hashes travel
+    # hashes are counted, and only the lines of spread hashes travel
     sketched = lines.groupBy("h").agg(F.count("source").alias("n"), F.hll_sketch_estimate(F.hll_sketch_agg("source", F.lit(SKETCH_LG_K))).alias("sites"))
     spread = cut(sketched.where((F.col("n") >= min_sites) & (F.col("sites") >= min_sites * (1 - NEAR))).select("h", "sites"))
     near = spread.where(F.col("sites") <= min_sites * (1 + NEAR)).select("h")
@@ -71,14 +69,14 @@ def _batch(ids, done) -> pa.RecordBatch:
 def remove_boilerplate(docs: DataFrame, min_sites: int = MIN_SITES) -> DataFrame:
     """One row per row of ``docs``: doc_id, n_lines, n_removed, kept_sha256, kept_text.
 
-    Lines are what newlines part; a line's spread counts by its text without outer spaces.  Blank lines, lines of
-    over ``MAX_CHARS`` characters and null texts stay as they are (a null text has no lines and an empty kept
-    text).  Repeated rows are judged alike, an empty table gives an empty result, other columns are ignored.
+    Lines are what newlines part; lines of every length are judged, and a line's spread counts by its text without
+    outer spaces.  Blank lines and null texts stay as they are (a null text has no lines and an empty kept text).
+    Repeated rows are judged alike, an empty table gives an empty result, other columns are ignored.
     """
     spark = docs.sparkSession
     small_batches(spark)
     keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.col("source").cast("string").alias("source")).withColumn("rk", F.xxhash64("text"))
-    found = boilerplate(_lines(keyed, MAX_CHARS), min_sites)
+    found = boilerplate(_lines(keyed), min_sites)
     if _shippable(found):
         shipped = spark.sparkContext.broadcast(frozenset(r.line for r in found.select("line").collect()))
 
@@ -94,7 +92,7 @@ def remove_boilerplate(docs: DataFrame, min_sites: int = MIN_SITES) -> DataFrame
             gone = [set(g or ()) for g in batch.column("gone").to_pylist()]
             yield _batch(batch.column("doc_id"), [_kept(t, lambda i, _, g=g: i in g) for t, g in zip(batch.column("text").to_pylist(), gone, strict=True)])
 
-    places = _lines(keyed, MAX_CHARS).join(found, ["h", "line"]).groupBy("doc_id", "rk").agg(F.collect_set("pos").alias("gone"))
+    places = _lines(keyed).join(found, ["h", "line"]).groupBy("doc_id", "rk").agg(F.collect_set("pos").alias("gone"))
     return keyed.join(places, ["doc_id", "rk"], "left").select("doc_id", "text", "gone").mapInArrow(by_place, _RESULT)
 
 
@@ -108,7 +106,7 @@ def without_boilerplate(docs: DataFrame, min_sites: int = MIN_SITES) -> DataFram
     spark = docs.sparkSession
     small_batches(spark)
     keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.col("source").cast("string").alias("source")).withColumn("rk", F.xxhash64("text"))
-    found = boilerplate(_lines(keyed, None), min_sites)
+    found = boilerplate(_lines(keyed), min_sites)
     small = _shippable(found)
     names = docs.columns
 
@@ -138,6 +136,6 @@ def without_boilerplate(docs: DataFrame, min_sites: int = MIN_SITES) -> DataFram
             gone = [set(g or ()) for g in batch.column("__gone").to_pylist()]
             yield rewritten(batch, [left(t, lambda i, _, g=g: i in g) for t, g in zip(batch.column("text").cast(pa.string()).to_pylist(), gone, strict=True)])
 
-    places = _lines(keyed, None).join(found, ["h", "line"]).groupBy(F.col("doc_id").alias("__id"), F.col("rk").alias("__rk")).agg(F.collect_set("pos").alias("__gone"))
+    places = _lines(keyed).join(found, ["h", "line"]).groupBy(F.col("doc_id").alias("__id"), F.col("rk").alias("__rk")).agg(F.collect_set("pos").alias("__gone"))
     joined = docs.join(places, (F.col("doc_id") == F.col("__id")) & (F.xxhash64(docs["text"].cast("string")) == F.col("__rk")), "left").drop("__id", "__rk")
     return joined.mapInArrow(by_place, docs.schema)

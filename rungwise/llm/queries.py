@@ -89,7 +89,7 @@ FROM docs d LEFT JOIN lists l ON d.r = l.r LEFT JOIN kept k ON d.r = k.r""",
     "op9_site_spread": """
 WITH docs AS (SELECT doc_id, row_number() OVER () AS r, source, text, string_split(text, chr(10)) AS ls FROM documents),
 lines AS (SELECT r, source, unnest(ls) AS raw, unnest(generate_series(1, len(ls))) AS pos FROM docs WHERE text IS NOT NULL),
-bad AS (SELECT trim(raw, ' ') AS line FROM lines WHERE trim(raw, ' ') <> '' AND length(trim(raw, ' ')) <= 100 GROUP BY 1 HAVING count(DISTINCT source) >= 10),
+bad AS (SELECT trim(raw, ' ') AS line FROM lines WHERE trim(raw, ' ') <> '' GROUP BY 1 HAVING count(DISTINCT source) >= 10),
 judged AS (SELECT l.*, b.line IS NOT NULL AS gone FROM lines l LEFT JOIN bad b ON trim(l.raw, ' ') = b.line),
 kept AS (SELECT r, count(*) AS n_lines, count(*) FILTER (gone) AS n_removed, coalesce(string_agg(raw, chr(10) ORDER BY pos) FILTER (NOT gone), '') AS body FROM judged GROUP BY r)
 SELECT doc_id, CAST(coalesce(n_lines, 0) AS BIGINT) AS n_lines, CAST(coalesce(n_removed, 0) AS BIGINT) AS n_removed, sha256(coalesce(body, '')) AS kept_sha256
