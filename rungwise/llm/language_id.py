@@ -1,15 +1,17 @@
 """Language identification with error-correcting output codes.
 
 Each language has a codeword; each bit of the code is a binary question ("is the language in this half?") that a
-classifier over hashed character n-grams answers with a margin.  Decoding weighs every bit by the logistic loss of
-its margin and takes the codeword with the smallest sum; the runner-up tells how ambiguous the answer is.
+classifier over hashed character n-grams answers with a margin: the mean weight of a text's n-grams, shrunk towards
+zero for short texts and scaled so that a typical training text answers with ``CONFIDENT`` logits.  Decoding weighs
+every bit by the logistic loss of its margin and takes the codeword with the smallest sum.  The runner-up tells how
+ambiguous the answer is: a text in two languages has middling margins on the bits that part them.
 """
 
 from __future__ import annotations
 
 import itertools
 import re
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
@@ -22,8 +24,12 @@ from .common import small_batches
 TRAIN_ROWS = 4000
 ORDERS = (1, 2, 3)
 BITS = 15
+#: Logits that the median training text gets on every bit.
+CONFIDENT = 4.0
+#: A margin is shrunk as if this many n-grams of no language stood beside the text's own.
+PRIOR_GRAMS = 12
 #: Answers with a smaller score are flagged.
-AMBIGUOUS = 0.6
+AMBIGUOUS = 0.9
 _CHUNK = 1 << 16
 _letter = re.compile(r"[^\W\d_]").search
 
@@ -64,20 +70,22 @@ class Model:
     languages: list[str]
     code: np.ndarray  # languages x bits
     weights: np.ndarray  # features x bits
+    scale: np.ndarray  # logits of a margin of one, by bit
 
     def margins(self, text: str) -> np.ndarray:
-        total = np.zeros(self.code.shape[1])
+        """Mean weights of the whole text's n-grams by bit, shrunk for short texts and scaled to logits."""
+        total, n = np.zeros(self.code.shape[1]), 0
         for numbers in grams(text):
             counts = np.bincount(numbers, minlength=1 << BITS) if len(numbers) > (1 << BITS) // 2 else None
             total += counts @ self.weights if counts is not None else self.weights[numbers].sum(axis=0, dtype=np.float64)
-        return total / len(ORDERS)
+            n += len(numbers)
+        return total / (n + PRIOR_GRAMS) * self.scale
 
     def predict(self, text: str | None) -> tuple[str, float, bool]:
         """(language or und, score from 0 to 1, whether the answer is ambiguous)."""
         if not self.languages or text is None or not _letter(text):
             return "und", 0.0, True
-        z = np.clip(self.margins(text), -50, 50)
-        loss = np.logaddexp(0, -self.code * z).sum(axis=1)
+        loss = np.logaddexp(0, -self.code * self.margins(text)).sum(axis=1)
         share = np.exp(-(loss - loss.min()) * 2 / max(1, self.code.shape[1]))
         score = float(share.max() / share.sum())
         return self.languages[int(loss.argmin())], score, score < AMBIGUOUS
@@ -96,7 +104,7 @@ def fit(docs: DataFrame, train_rows: int = TRAIN_ROWS) -> Model:
     counts = {r.lang: r.n for r in labelled.groupBy("lang").agg(F.count("*").alias("n")).collect()}
     languages = sorted(counts)
     if not languages:
-        return Model([], codewords(0), np.zeros((1 << BITS, 1), np.float32))
+        return Model([], codewords(0), np.zeros((1 << BITS, 1), np.float32), np.ones(1))
     share = F.element_at(F.create_map(*itertools.chain.from_iterable((F.lit(k), F.lit(min(1.0, train_rows / n))) for k, n in counts.items())), F.col("lang"))
     chosen = labelled.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 20)) < share * (1 << 20)).select("lang", "text")
     place = {k: i for i, k in enumerate(languages)}
@@ -119,7 +127,26 @@ def fit(docs: DataFrame, train_rows: int = TRAIN_ROWS) -> Model:
     shares = table / table.sum(axis=1, keepdims=True)
     code = codewords(len(languages))
     weights = np.stack([np.log(shares[col > 0].mean(axis=0)) - np.log(shares[col < 0].mean(axis=0)) if (col < 0).any() else np.zeros(1 << BITS) for col in code.T], axis=1)
-    return Model(languages, code, weights.astype(np.float32))
+    return calibrated(Model(languages, code, weights.astype(np.float32), np.ones(code.shape[1])), chosen)
+
+
+def calibrated(model: Model, chosen: DataFrame) -> Model:
+    """The model scaled so that the median text of ``chosen(lang, text)`` has ``CONFIDENT`` logits on each bit.
+
+    One number a bit reaches the driver: the median of the texts' unscaled margins.
+    """
+    shipped = chosen.sparkSession.sparkContext.broadcast(model)
+
+    def sizes(batches):
+        model = shipped.value
+        for batch in batches:
+            found = [np.abs(model.margins(t)) for t in batch.column("text").to_pylist() if _letter(t)]
+            if found:
+                yield pa.RecordBatch.from_arrays([pa.array(list(m), pa.float64()) for m in np.array(found).T], [f"m{i}" for i in range(model.code.shape[1])])
+
+    bits = range(model.code.shape[1])
+    middle = chosen.mapInArrow(sizes, ", ".join(f"m{i} double" for i in bits)).agg(*[F.percentile_approx(f"m{i}", 0.5).alias(f"m{i}") for i in bits]).first()
+    return replace(model, scale=np.array([CONFIDENT / x if x else 1.0 for x in middle]))
 
 
 def predict(docs: DataFrame, model: Model) -> DataFrame:
