@@ -165,13 +165,49 @@ def test_simhash_equals_brute_force(spark, sentences):
     assert all(got[i].component_id == find(i) and got[i].fp % 2**64 == prints[i] for i in prints) and got[203].component_id == 202
 
 
+def linked(prints, pairs):
+    """Components of distinct fingerprints over pairs."""
+    group = {p: p for p in prints}
+    for a, b in pairs:
+        low, high = sorted((group[a], group[b]))
+        if low != high:
+            group = {k: low if v == high else v for k, v in group.items()}
+    return group
+
+
+@pytest.mark.parametrize(("segments", "crowd"), [(2, 200), (2, 3), (4, 200), (4, 0)])
+def test_index_tables_and_midpoints_link_the_same(spark, segments, crowd):
+    rng = np.random.default_rng(9)
+    prints = {int(x) for x in rng.integers(-(1 << 63), 1 << 63 - 1, 60)}
+    for x in list(prints)[:25]:
+        for _ in range(6):
+            y = x
+            for at in rng.choice(64, rng.integers(1, 4), replace=False):
+                y ^= 1 << int(at)
+            prints.add(y - (1 << 64) if y >= 1 << 63 else y + (1 << 64) if y < -(1 << 63) else y)
+    near = [(a, b) for a in prints for b in prints if a < b and ((a ^ b) % 2**64).bit_count() <= 2]
+    table = spark.createDataFrame([(x,) for x in prints], "fp long")
+    got = [(r.a, r.b) for r in simhash.links(table, segments, crowd).collect()]
+    assert linked(prints, got) == linked(prints, near) and all(((a ^ b) % 2**64).bit_count() <= 2 for a, b in got)
+    if crowd == 200:  # without the midpoints the tables alone find every pair
+        assert {tuple(sorted(x)) for x in got} == set(near)
+
+
+def test_balls_are_small_and_meet():
+    assert simhash.radii(2, 2) == [1, 0] and simhash.radii(2, 4) == [0, 0, 0, -1] and simhash.radii(7, 3) == [2, 2, 1]
+    for distance, segments in ((2, 2), (2, 4), (3, 2), (5, 4)):
+        r = simhash.radii(distance, segments)
+        for split in __import__("itertools").product(range(distance + 1), repeat=segments):
+            if sum(split) <= distance:
+                assert any(x <= y for x, y in zip(split, r, strict=True))
+
+
 def test_packing_round_trip_and_ids(spark):
     from public_tokenizers import path
     from tokenizers import Tokenizer
 
     plain = Tokenizer.from_file(path("byte_bpe_50k.json"))
-    plain.encode_special_tokens = True
-    texts = ["", "a  b", " lead", "trail ", "x \n y", "line\n\n next", "don't  stop <|endoftext|> it's", "tab\t end ", "漢字 ✓ ü", "nb  sp", LONG[:9000], "1 22 333 ! ?!"]
+    texts = ["<|endoftext|>", "a<|endoftext|>b <|endoftext|>  c <|endoftext|><|endoftext|> ", "q \x1c w", "a \x85 b", "end  ", "", "a  b", " lead", "trail ", "x \n y", "line\n\n next", "don't  stop <|endoftext|> it's", "tab\t end ", "漢字 ✓ ü", "nb  sp", LONG[:9000], "1 22 333 ! ?!"]
     for t in texts:
         assert packing.token_ids(t).tolist() == [*plain.encode(t, add_special_tokens=False).ids, 0], t
     pieces = packing.pack_documents(docs(spark, list(enumerate(texts))), with_ids=True).toPandas()
@@ -207,6 +243,11 @@ def test_language_codes_and_held_out_accuracy(spark):
     table = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
     got = language_id.identify(table).join(table.select("doc_id", "lang"), "doc_id").where("held_out").toPandas()
     assert (got.lang == got.lang_pred).mean() > 0.97 and got.score.between(0, 1).all()
+    model = language_id.fit(table)
+    texts = {k: [r.text for r in table.where(f"lang = '{k}' and n_chars between 300 and 3000").orderBy("doc_id").limit(40).collect()] for k in ("de", "en", "es", "fr")}
+    halves = [a[: len(a) // 2] + " " + b[: len(a) // 2] for x, y in (("de", "es"), ("de", "fr"), ("en", "fr"), ("en", "es")) for a, b in zip(texts[x], texts[y], strict=False)]
+    assert np.mean([model.predict(t)[2] for t in halves]) > 0.8  # texts in two languages are flagged
+    assert np.mean([model.predict(t)[2] for v in texts.values() for t in v]) < 0.05
     for n in (2, 3, 4, 6, 12):
         code = language_id.codewords(n)
         assert len({tuple(c) for c in code}) == n and all(len(set(col)) == 2 for col in code.T)
@@ -247,20 +288,21 @@ def test_pipeline_equals_its_stages_by_hand(spark):
     texts = {i: t for i, t in table.items() if t and any(c.isalpha() for c in t)}
     for i, t in texts.items():
         for x in t.split("\n"):
-            if x.strip(" ") and len(x.strip(" ")) <= line_dedup.MAX_CHARS:
+            if x.strip(" "):
                 lines[x.strip(" ")].add(source[i])
     for i, t in texts.items():
         left = "\n".join(x for x in t.split("\n") if len(lines.get(x.strip(" "), ())) < line_dedup.MIN_SITES)
         texts[i] = left if left.strip() else t
-    prints = {i: simhash.fingerprint(t) for i, t in texts.items()}
-    kept = set()
-    group = {i: i for i in prints}
-    for i in sorted(prints):
-        for j in sorted(prints):
-            if j < i and (prints[i] ^ prints[j]).bit_count() <= 2:
-                a, b = group[i], group[j]
-                group = {k: min(a, b) if v in (a, b) else v for k, v in group.items()}
-    kept = {i for i in prints if group[i] == i}
+    # the stage's rule: five-word shingles, Jaccard similarity of 0.8 or more, the smallest doc_id of a group stays
+    words = {i: t.lower().split() for i, t in texts.items()}
+    shingles = {i: {tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))} for i, w in words.items()}
+    group = {i: i for i in texts}
+    for i in sorted(texts):
+        for j in sorted(texts):
+            if j < i and group[i] != group[j] and 10 * len(shingles[i] & shingles[j]) >= 8 * len(shingles[i] | shingles[j]):
+                low, high = sorted((group[i], group[j]))
+                group = {k: low if v == high else v for k, v in group.items()}
+    kept = {i for i in texts if group[i] == i}
     numbers, searchers = decontamination.compile_patterns([(str(r.item_id), r.text) for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()])
     clean = set()
     for i in kept:

@@ -1,4 +1,4 @@
-"""Boilerplate lines of any length in the pipeline's line stage."""
+"""Boilerplate lines of any length."""
 
 from rungwise.llm import line_dedup
 
@@ -12,3 +12,11 @@ def test_long_notice_goes_on_both_routes(spark, monkeypatch):
     assert {r.doc_id: r.text for r in line_dedup.without_boilerplate(docs).collect()} == want
     monkeypatch.setattr(line_dedup, "SHIPPED_BYTES", 10)
     assert {r.doc_id: r.text for r in line_dedup.without_boilerplate(docs).collect()} == want
+
+
+def test_query_judges_long_lines_too(spark, monkeypatch):
+    docs = spark.createDataFrame([(i, f"own text {i}\n {NOTICE}\nrare {NOTICE}{i % 9}", f"s{i}") for i in range(14)], "doc_id long, text string, source string")
+    one = sorted(map(tuple, line_dedup.remove_boilerplate(docs).collect()))
+    assert all(r[1:3] == (3, 1) for r in one)
+    monkeypatch.setattr(line_dedup, "SHIPPED_BYTES", 10)
+    assert sorted(map(tuple, line_dedup.remove_boilerplate(docs).collect())) == one
