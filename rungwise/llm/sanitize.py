@@ -1,31 +1,41 @@
 """Personal data by patterns, and information-theoretic sanitisation of the terms that give it away.
 
-Base spans come from fixed patterns.  Protected entities are the values found and their four kinds.  The corpus
-tells how strongly a term discloses an entity: with N documents, n(e) that hold the entity, n(t) that hold the
-term and n(t,e) where the term stands near the entity, a term's pointwise mutual information with the entity is
-compared with the entity's own information content.  Terms that give away at least ``DISCLOSURE`` of it, seen in
-``SUPPORT`` or more documents, are spans too and are generalised like the data itself.
+Base spans come from fixed patterns.  Protected entities are the four kinds of base spans, secrets (long tokens of
+letters and digits that look random) and every value found.  The corpus tells how strongly a term discloses an
+entity: with N documents, n(e) that hold the entity, n(t) that hold the term and n(t,e) that hold both (for a value:
+that hold the term within ``NEAR_WORDS`` words of it), a term's pointwise mutual information with the entity is
+compared with the entity's own information content.  Terms that give away at least ``DISCLOSURE`` of it, on the
+evidence of ``SUPPORT`` or more different texts, are spans wherever they stand in the corpus, near a mention or not,
+and are generalised like the data itself.
 """
 
 from __future__ import annotations
 
 import re
+from bisect import bisect_left
 from collections import Counter
+from math import log2
 
 import pyarrow as pa
-import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, small_batches
+from .common import cut, keyed_join, small_batches
 
 KINDS = ("email", "ip", "card", "phone")
+#: Protected beside the base kinds; their spans are marked too.
+SECRET = "secret"
+ENTITIES = (*KINDS, SECRET)
 DISCLOSURE = 0.9
 SUPPORT = 5
-#: Terms looked at on each side of a mention, and the characters they are searched in.
-NEAR_WORDS, NEAR_CHARS = 6, 120
-#: Terms that are shipped to every executor to be counted, at most; beyond it all terms are counted.
+#: Words looked at on each side of a value's mention.
+NEAR_WORDS = 6
+#: Different terms that a task counts before it hands them on.
+HELD_TERMS = 200_000
+#: Disclosing terms that one pass over the documents looks for, at most; more terms take more passes.
 SHIPPED_TERMS = 200_000
+#: A secret has this many characters or more, letters and digits both, and this many bits a character.
+SECRET_CHARS, SECRET_BITS = 24, 3.0
 
 _LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
 _domain = re.compile(r"[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+").match
@@ -33,8 +43,9 @@ _domain = re.compile(r"[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+").match
 _ip = re.compile(r"(?<![0-9])[0-9]++\.[0-9]++\.[0-9]++\.[0-9]+").finditer
 _card = re.compile(r"[0-9](?:[\x20-]?[0-9])+").finditer
 _phone = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]").finditer
-_word = re.compile(r"[^\W\d_]{3,}").finditer
-_words = re.compile(r"[^\W\d_]{3,}").findall
+_word = re.compile(r"[^\W_]+").finditer
+_words = re.compile(r"[^\W_]+").findall
+_token = re.compile(r"[A-Za-z0-9+/_-]{%d,}" % SECRET_CHARS).finditer
 _no_digit = re.compile(r"[^0-9]+").sub
 
 
@@ -83,103 +94,155 @@ def joined(spans) -> str:
     return ",".join(f"{k}:{a}:{b}" for k, a, b in spans)
 
 
-def _hash(text: str) -> int:
-    n = xxhash.xxh64_intdigest(text.encode("utf-8", "surrogatepass"))
-    return n - (1 << 64) if n >> 63 else n
+def secrets(text: str, taken: list[tuple[str, int, int]]) -> list[tuple[str, int, int]]:
+    """Long random-looking tokens outside the spans ``taken``."""
+    out = []
+    for m in _token(text):
+        body = m[0]
+        if any(c.isdigit() for c in body) and any(c.isalpha() for c in body) and not any(a < m.end() and m.start() < b for _, a, b in taken):
+            counts = Counter(body).values()
+            if sum(-n * log2(n / len(body)) for n in counts) >= SECRET_BITS * len(body):
+                out.append((SECRET, *m.span()))
+    return out
 
 
-def contexts(text: str, spans: list[tuple[str, int, int]]) -> list[tuple[int, int, int, int]]:
-    """(entity, term, start, end) of the terms near each mention; a mention counts for its value and its kind."""
-    out = []
-    taken = [(a, b) for _, a, b in spans]
+def blanked(text: str, spans: list[tuple[str, int, int]]) -> str:
+    """``text`` with spaces in place of the spans, so that what is protected isn't its own evidence."""
+    parts, at = [], 0
+    for a, b in sorted((a, b) for _, a, b in spans):
+        if b > at:
+            parts += [text[at : max(a, at)], " " * (b - max(a, at))]
+            at = b
+    return "".join([*parts, text[at:]])
+
+
+def contexts(text: str, bare: str, spans: list[tuple[str, int, int]]) -> set[tuple[str, str]]:
+    """(value, term) for the ``NEAR_WORDS`` words of the blanked text ``bare`` on each side of every value."""
+    words = [(m.start(), m[0].lower()) for m in _word(bare)]
+    starts = [s for s, _ in words]
+    out = set()
     for kind, a, b in spans:
-        lo, hi = max(0, a - NEAR_CHARS), min(len(text), b + NEAR_CHARS)
-        before = [m.span() for m in _word(text, lo, a) if not (m.start() == lo and lo and text[lo - 1].isalpha())][-NEAR_WORDS:]
-        after = [m.span() for m in _word(text, b, hi) if not (m.end() == hi and hi < len(text) and text[hi].isalpha())][:NEAR_WORDS]
-        near = [(s, e) for s, e in before + after if not any(s < y and x < e for x, y in taken if x - NEAR_CHARS <= e and s <= y + NEAR_CHARS)]
-        for entity in (_hash(f"{kind} {text[a:b].lower()}"), _hash(kind)):
-            out += [(entity, _hash(text[s:e].lower()), s, e) for s, e in near]
+        value = f"{kind} {text[a:b].lower()}"
+        at = bisect_left(starts, a)
+        out |= {(value, w) for _, w in words[max(0, at - NEAR_WORDS) : at + NEAR_WORDS]}
     return out
 
 
-_SCANNED = "doc_id long, rk long, n_email long, n_ip long, n_card long, n_phone long, base string, entities array<long>, near array<struct<entity:long,term:long,start:int,end:int>>"
+#: A row is a document's (``term`` null), or the counts of a term in many documents: with it, and by kind with it and the kind.
+_SCANNED = "doc_id long, rk long, n_email long, n_ip long, n_card long, n_phone long, base string, hidden string, entities array<string>, near array<struct<entity:string,term:string>>, term string, n_term long, n_with array<long>"
 
 
 def _scan(batches):
-    kind = pa.list_(pa.struct([("entity", pa.int64()), ("term", pa.int64()), ("start", pa.int32()), ("end", pa.int32())]))
+    pair = pa.list_(pa.struct([("entity", pa.string()), ("term", pa.string())]))
+    kinds = (pa.int64(), pa.int64(), *[pa.int64()] * 4, pa.string(), pa.string(), pa.list_(pa.string()), pair, pa.string(), pa.int64(), pa.list_(pa.int64()))
+    names = [c.split()[0] for c in _SCANNED.split(", ")]
+    held: Counter = Counter()
+    beside: dict[str, list[int]] = {}
+
+    def counted():
+        terms = list(held)
+        none = [0] * len(ENTITIES)
+        columns = [None] * 10 + [terms, list(held.values()), [beside.get(t, none) for t in terms]]
+        batch = pa.RecordBatch.from_arrays([pa.nulls(len(terms), k) if c is None else pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names)
+        held.clear()
+        beside.clear()
+        return batch
+
     for batch in batches:
-        counts, bases, entities, nears = [], [], [], []
-        for text in batch.column("text").to_pylist():
+        rows = []
+        for doc_id, rk, text in zip(batch.column("doc_id").to_pylist(), batch.column("rk").to_pylist(), batch.column("text").to_pylist(), strict=True):
+            text = text or ""
             spans = base_spans(text)
+            more = secrets(text, spans)
             n = Counter(k for k, _, _ in spans)
-            counts.append([n[k] for k in KINDS])
-            bases.append(joined(spans))
-            entities.append(sorted({_hash(k) for k, _, _ in spans} | {_hash(f"{k} {text[a:b].lower()}") for k, a, b in spans}))
-            nears.append([{"entity": e, "term": t, "start": s, "end": x} for e, t, s, x in contexts(text, spans)] if spans else [])
-        yield pa.RecordBatch.from_arrays(
-            [batch.column("doc_id"), batch.column("rk"), *(pa.array([c[i] for c in counts], pa.int64()) for i in range(4)), pa.array(bases, pa.string()), pa.array(entities, pa.list_(pa.int64())), pa.array(nears, kind)],
-            ["doc_id", "rk", "n_email", "n_ip", "n_card", "n_phone", "base", "entities", "near"],
-        )
-
-
-def _term_counts(docs: DataFrame, candidates: DataFrame) -> DataFrame:
-    """``(term, n_term)``: documents that hold each candidate term, over all documents."""
-    few = candidates.count() <= SHIPPED_TERMS
-    shipped = docs.sparkSession.sparkContext.broadcast(frozenset(r.term for r in candidates.collect()) if few else None)
-
-    def run(batches):
-        only = shipped.value
-        known: dict[str, int] = {}
-        for batch in batches:
-            counts: Counter = Counter()
-            for text in batch.column("text").to_pylist():
-                counts.update(set(_words((text or "").lower())))
-            rows: Counter = Counter()
-            for word, n in counts.items():
-                h = known.get(word)
-                if h is None:
-                    h = _hash(word)
-                    if len(known) < 200_000:
-                        known[word] = h
-                if only is None or h in only:
-                    rows[h] += n
-            yield pa.RecordBatch.from_arrays([pa.array(list(rows), pa.int64()), pa.array(list(rows.values()), pa.int64())], ["term", "n"])
-
-    return docs.select("text").mapInArrow(run, "term long, n long").groupBy("term").agg(F.sum("n").alias("n_term"))
-
-
-def disclosing(scanned: DataFrame, docs: DataFrame, disclosure: float = DISCLOSURE, support: int = SUPPORT) -> DataFrame:
-    """``(entity, term)`` pairs where the term gives away at least ``disclosure`` of the entity's information."""
-    total = scanned.count()
-    near = scanned.select("doc_id", "rk", F.explode(F.array_distinct(F.transform("near", lambda x: F.struct(x["entity"].alias("entity"), x["term"].alias("term"))))).alias("x"))
-    pairs = cut(near.groupBy(F.col("x.entity").alias("entity"), F.col("x.term").alias("term")).agg(F.count("*").alias("n_both")).where(F.col("n_both") >= support))
-    if not total or pairs.isEmpty():
-        return pairs.select("entity", "term")
-    n_entity = scanned.select(F.explode("entities").alias("entity")).groupBy("entity").agg(F.count("*").alias("n_entity"))
-    n_term = _term_counts(docs, pairs.select("term").distinct())
-    n = F.lit(float(total))
-    information = F.log2(n / F.col("n_entity"))
-    mutual = F.log2(F.col("n_both") * n / (F.col("n_term") * F.col("n_entity")))
+            entities, near, bare = [], [], text
+            if spans or more:
+                bare = blanked(text, spans + more)
+                entities = sorted({k for k, _, _ in spans + more} | {f"{k} {text[a:b].lower()}" for k, a, b in spans + more})
+                near = [{"entity": e, "term": t} for e, t in sorted(contexts(text, bare, spans + more))]
+            terms = set(_words(bare.lower()))
+            held.update(terms)
+            if entities:
+                flags = [int(e in entities) for e in ENTITIES]
+                for t in terms:
+                    beside[t] = [x + y for x, y in zip(beside.get(t, [0] * len(flags)), flags, strict=True)]
+            rows.append((doc_id, rk, *(n[k] for k in KINDS), joined(spans), joined(more), entities, near))
+        yield pa.RecordBatch.from_arrays([*(pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds[:10], strict=True)), *(pa.nulls(len(rows), k) for k in kinds[10:])], names)
+        if len(held) > HELD_TERMS:
+            yield counted()
+    if held:
+        yield counted()
+
+
+def disclosing(scanned: DataFrame, disclosure: float = DISCLOSURE, support: int = SUPPORT) -> DataFrame:
+    """``(term, share)``: terms that give away at least ``disclosure`` of an entity's information, and the greatest share."""
+    found = scanned.where("term is null")
+    total = float(found.count())
+    terms = scanned.where("term is not null").groupBy("term").agg(F.sum("n_term").alias("n_term"), *[F.sum(F.col("n_with")[i]).alias(f"w{i}") for i in range(len(ENTITIES))])
+    terms = cut(terms.where(f"n_term >= {support}"))
+    texts = found.where(F.size("entities") > 0).groupBy("rk").agg(F.count("*").alias("rows"), F.first("entities").alias("entities"), F.first("near").alias("near"))
+    texts = cut(texts)
+    n_entity = texts.select(F.explode("entities").alias("entity"), "rows").groupBy("entity").agg(F.sum("rows").alias("n_entity"))
+    by_kind = terms.select("term", "n_term", F.explode(F.array(*[F.struct(F.lit(e).alias("entity"), F.col(f"w{i}").alias("n_both")) for i, e in enumerate(ENTITIES)])).alias("x")).select("x.entity", "term", "n_term", "x.n_both").where(f"n_both >= {support}")
+    by_value = texts.select(F.explode("near").alias("x"), "rows").groupBy(F.col("x.entity").alias("entity"), F.col("x.term").alias("term")).agg(F.count("*").alias("texts"), F.sum("rows").alias("n_both")).where(f"texts >= {support}").drop("texts").join(terms.select("term", "n_term"), "term")
+    pairs = by_kind.unionByName(by_value.select(*by_kind.columns)).join(n_entity, "entity")
+    information = F.log2(total / F.col("n_entity"))
+    mutual = F.log2(F.col("n_both") * total / (F.col("n_term") * F.col("n_entity")))
     # an entity that stands in every document tells nothing and can't be given away
-    return pairs.join(n_entity, "entity").join(n_term, "term").where((information > 0) & (mutual >= disclosure * information)).select("entity", "term")
+    strong = pairs.where((information > 0) & (mutual >= disclosure * information))
+    return cut(strong.groupBy("term").agg(F.max(F.least(mutual / information, F.lit(1.0))).alias("share")))
+
+
+def _placed(docs: DataFrame, told: DataFrame) -> DataFrame:
+    """``(doc_id, rk, start, end, term)``: every occurrence of terms of ``told`` outside protected spans, terms in blocks of ``SHIPPED_TERMS``."""
+    spark = docs.sparkSession
+    blocks = max(1, -(-told.count() // SHIPPED_TERMS))
+    dealt = told.select("term", F.pmod(F.xxhash64("term"), F.lit(blocks)).alias("block"))
+    out = None
+    for k in range(blocks):
+        shipped = spark.sparkContext.broadcast(frozenset(r.term for r in dealt.where(F.col("block") == k).collect()))
+
+        def run(batches, shipped=shipped):
+            known = shipped.value
+            for batch in batches:
+                rows = []
+                for doc_id, rk, text in zip(batch.column("doc_id").to_pylist(), batch.column("rk").to_pylist(), batch.column("text").to_pylist(), strict=True):
+                    low = (text or "").lower()
+                    if known.isdisjoint(_words(low)):
+                        continue
+                    spans = base_spans(text)
+                    taken = [(a, b) for _, a, b in spans + secrets(text, spans)]
+                    rows += [(doc_id, rk, m.start(), m.end(), m[0].lower()) for m in _word(text) if m[0].lower() in known and not any(m.start() < b and a < m.end() for a, b in taken)]
+                if rows:
+                    kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.string())
+                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)], ["doc_id", "rk", "start", "end", "term"])
+
+        one = docs.mapInArrow(run, "doc_id long, rk long, start int, end int, term string")
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 def find_personal_data(docs: DataFrame, disclosure: float = DISCLOSURE, support: int = SUPPORT) -> DataFrame:
     """One row per row of ``docs``: doc_id, rk, n_email, n_ip, n_card, n_phone, base_sha256, spans, n_term.
 
-    ``spans`` lists all spans as kind:start:end (code points, end exclusive), base kinds first, then terms, each by
-    start.  A null text counts as empty; repeated rows are judged alike, rows of one id with other texts each by
-    its own; an empty table gives an empty result; other columns are ignored.
+    ``spans`` lists all spans as kind:start:end (code points, end exclusive): base kinds first, then secrets, then
+    every occurrence of a disclosing term outside them, each by start.  A null text counts as empty; repeated rows
+    are judged alike, rows of one id with other texts each by its own; an empty table gives an empty result; other
+    columns are ignored.
     """
     small_batches(docs.sparkSession)
     keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).withColumn("rk", F.xxhash64("text"))
     scanned = cut(keyed.mapInArrow(_scan, _SCANNED))
-    told = disclosing(scanned, keyed, disclosure, support)
-    places = scanned.select("doc_id", "rk", F.explode("near").alias("x")).select("doc_id", "rk", "x.*").join(told, ["entity", "term"])
-    terms = places.groupBy("doc_id", "rk").agg(F.sort_array(F.collect_set(F.struct("start", "end"))).alias("terms"))
-    text = F.array_join(F.transform("terms", lambda x: F.concat(F.lit("term:"), x["start"].cast("string"), F.lit(":"), x["end"].cast("string"))), ",")
-    out = scanned.drop("entities", "near").join(terms, ["doc_id", "rk"], "left")
-    return out.select("doc_id", "rk", "n_email", "n_ip", "n_card", "n_phone", F.sha2(F.col("base").cast("binary"), 256).alias("base_sha256"), F.when(F.col("terms").isNull(), F.col("base")).when(F.col("base") == "", text).otherwise(F.concat("base", F.lit(","), text)).alias("spans"), F.coalesce(F.size("terms"), F.lit(0)).cast("long").alias("n_term"))
+    told = disclosing(scanned, disclosure, support).select("term")
+    placed = cut(_placed(keyed, told))
+    # copies of one text are one piece of evidence
+    evidence = placed.groupBy("term", "rk").agg(F.count("*").alias("rows")).groupBy("term").agg(F.count("*").alias("texts"), F.sum("rows").alias("__n")).where(F.col("texts") >= support).drop("texts")
+    places = keyed_join(placed, evidence, "term", placed.count()).groupBy(F.col("doc_id").alias("id"), F.col("rk").alias("key")).agg(F.array_sort(F.collect_set(F.struct("start", "end"))).alias("places"))
+    text = F.array_join(F.transform("places", lambda p: F.concat(F.lit("term:"), p["start"].cast("string"), F.lit(":"), p["end"].cast("string"))), ",")
+    out = scanned.where("term is null").drop("entities", "near", "term", "n_term", "n_with")
+    out = out.join(places.select("id", "key", F.size("places").cast("long").alias("n_term"), text.alias("terms")), F.col("doc_id").eqNullSafe(F.col("id")) & (F.col("rk") == F.col("key")), "left")
+    spans = F.array_join(F.filter(F.array("base", "hidden", F.coalesce("terms", F.lit(""))), lambda x: x != ""), ",")
+    return out.select("doc_id", "rk", "n_email", "n_ip", "n_card", "n_phone", F.sha2(F.col("base").cast("binary"), 256).alias("base_sha256"), spans.alias("spans"), F.coalesce("n_term", F.lit(0).cast("long")).alias("n_term"))
 
 
 def masked(text: str | None, spans: str) -> str | None:
@@ -205,5 +268,5 @@ def sanitise(docs: DataFrame, disclosure: float = DISCLOSURE, support: int = SUP
             texts = [masked(t, s or "") for t, s in zip(batch.column("text").to_pylist(), batch.column("__spans").to_pylist(), strict=True)]
             yield pa.RecordBatch.from_arrays([pa.array(texts, pa.string()) if n == "text" else batch.column(n) for n in names], names)
 
-    on = (F.col("doc_id") == F.col("__id")) & (F.xxhash64(docs["text"].cast("string")) == F.col("__rk"))
+    on = F.col("doc_id").eqNullSafe(F.col("__id")) & (F.xxhash64(docs["text"].cast("string")) == F.col("__rk"))
     return docs.join(found, on, "left").drop("__id", "__rk").mapInArrow(run, docs.schema)
