@@ -6,9 +6,12 @@ only one side has becomes optional, neighbouring equal nodes fold into a repeate
 turn a slot from a constant into a variable.  Alignment is a fold of partial wrappers (per input batch, then per
 host and part, then per host), so a host with a third of all pages is never gathered in one task.
 
-Extraction parses each page against its host's wrapper: the content node is the article or main node if the page
-has one, else the node that holds most text; what menus, headers, footers, sidebars, notices, adverts, forms and
-comments hold doesn't count, nor, outside articles, do block slots that are the same on all of many different pages.
+The host's wrapper decides what is content.  The region is found by following, from the root, the unrepeated node
+that holds most of the host's variable text; every page's text is what stands at that region, without slots that
+are constant on many different pages.  Tags and names are a prior: menus, headers, footers, sidebars, notices,
+adverts, forms and comments carry no text, ``article`` and ``main`` narrow the region if they hold most of it, and
+their words need four times the evidence to count as constant.  A host with few different pages has no evidence;
+its pages are judged by their own structure.
 """
 
 from __future__ import annotations
@@ -19,13 +22,20 @@ import re
 from functools import reduce
 
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, small_batches
+from .common import cut, keyed_join, small_batches
 
-#: Different pages that a wrapper must have seen before a constant slot counts as boilerplate.
+#: Different pages that a slot must have been seen on, always the same, before it counts as boilerplate.
 SURE_PAGES = 5
+#: The same inside ``article`` and ``main``.
+SURE_INSIDE = 4 * SURE_PAGES
+#: Share of the variable text that a node must hold to be followed.
+MOST = 0.7
+#: Deeper elements are laid flat into their ancestor at this depth (their texts and blocks stay).
+MAX_DEPTH = 200
 #: Parts that a host's partial wrappers are folded in.
 PARTS = 64
 
@@ -39,6 +49,11 @@ _AWAY = frozenset("nav aside footer form head dialog menu".split())
 _AWAY_ROLES = frozenset("navigation banner contentinfo search complementary alert dialog".split())
 _AWAY_NAMES = frozenset("ad ads advert adverts advertisement sponsored sponsor promo promotion banner nav navbar navigation menu sidebar footer header masthead breadcrumb breadcrumbs cookie cookies consent notice notices alert popup modal comment comments respond disqus reactions share sharing social related recommended newsletter subscribe subscription widget toolbar pagination pager copyright legal disclaimer login signup skip".split())
 
+#: Elements without a class that are told apart by what they begin with.
+_PLAIN = frozenset("div section span td".split())
+#: Text blocks; a region never lies inside one.
+_TEXTS = frozenset("p li blockquote pre h1 h2 h3 h4 h5 h6 dd dt td th figure table ul ol dl".split())
+
 _tag = re.compile(r"<(/?)([A-Za-z][A-Za-z0-9:-]*)((?:[^<>\"']|\"[^\"]*\"|'[^']*')*+)>").match
 _attribute = re.compile(r"([A-Za-z-]+)\s*=\s*(\"[^\"]*\"|'[^']*'|[^\s\"'>]+)").findall
 _name_parts = re.compile(r"[A-Za-z]+").findall
@@ -76,6 +91,8 @@ def parse(source: str) -> Node:
         nonlocal articles
         flush()
         articles -= sum(x.name in ("article", "main") for x in stack[to:])
+        if not stack[to].key and stack[to].name in _BLOCK:  # laid flat: the block ends here
+            stack[to].children.append(Node("br", "br", False))
         del stack[to:]
 
     def opened(names, until) -> int | None:
@@ -128,6 +145,13 @@ def parse(source: str) -> Node:
         node = Node(name + "".join(f".{c}" for c in sorted(re.sub(r"\d+", "", attributes.get("class", "")).split())), name, raw or _is_away(name, attributes, articles > 0))
         flush()
         stack[-1].children.append(node)
+        if len(stack) > MAX_DEPTH and not node.away and name not in _VOID:
+            inner = Node("", name, False)
+            inner.children = stack[-1].children
+            if not raw and not rest.endswith("/"):
+                stack.append(inner)
+                articles += name in ("article", "main")
+            continue
         if raw and not rest.endswith("/"):
             end = re.compile(f"</{name}\\b[^>]*>", re.IGNORECASE).search(source, at)
             at = n if end is None else end.end()
@@ -138,74 +162,89 @@ def parse(source: str) -> Node:
     return root
 
 
-# A wrapper node: {"k": key, "m": "1" | "?" | "+" | "*", "t": slot, "c": [nodes]}.
-# A slot is None (never text), a string (one constant) or True (variable); "v" counts characters of variable text.
+# A wrapper node: {"k": key, "m": "1" | "?" | "+" | "*", "t": slot, "v": characters, "p": pages, "c": [nodes], "a": away}.
+# A slot is None (never text), an integer (the hash of one constant text) or True (variable); "v" counts characters of
+# text outside links, "p" holds the smallest SURE_INSIDE hashes of the different pages that showed text there.
+
+
+def _key(node: Node) -> str:
+    if node.key not in _PLAIN:
+        return node.key
+    return f"{node.key}({next((c.name for c in node.children if isinstance(c, Node) and c.name not in _RAW), '')})"
+
+
+def _said(node: Node) -> str:
+    return " ".join(" ".join(c for c in node.children if isinstance(c, str)).split())
 
-_INLINE_TEXT = 200
 
+def page_hash(page: Node) -> int:
+    """Hash of what the page says outside menus, adverts and the like: pages that differ there only are one page."""
+    said = []
+    for node, _ in _walk(page):
+        said += [c for c in node.children if isinstance(c, str)]
+    return xxhash.xxh64_intdigest(" ".join(" ".join(said).split()).encode("utf-8", "surrogatepass"))
 
-def wrap(node: Node) -> dict:
-    """The wrapper of a single page: runs of neighbours with the same key fold into repeated groups."""
-    slot = None
+
+def wrap(node: Node, page: int | None = None, linked: bool = False) -> dict:
+    """The wrapper of a single page: children with the same key fold into repeated groups, so a level has each key once."""
+    top = page is None
+    page = page_hash(node) if top else page
+    said, linked = _said(node), linked or node.name == "a"
+    place: dict[str, int] = {}
     kids: list[dict] = []
     for child in node.children:
-        if isinstance(child, str):
-            if said := " ".join(child.split()):
-                slot = said[:_INLINE_TEXT] if slot is None else True
-            continue
-        if child.name in _RAW:
+        if isinstance(child, str) or child.name in _RAW:
             continue
-        kid = wrap(child)
-        if kids and kids[-1]["k"] == kid["k"]:
-            kids[-1] = align(kids[-1], kid)
-            kids[-1]["m"] = "*" if kids[-1]["m"] in "?*" else "+"
-        else:
+        kid = wrap(child, page, linked)
+        i = place.setdefault(kid["k"], len(kids))
+        if i == len(kids):
             kids.append(kid)
-    return {"k": node.key, "m": "1", "t": slot, "c": _folded(kids), "a": int(node.away)}
+        else:
+            kids[i] = align(kids[i], kid) | {"m": "+"}
+    slot = xxhash.xxh64_intdigest(said.encode("utf-8", "surrogatepass")) >> 1 if said else None
+    return {"k": _key(node), "m": "1", "t": slot, "v": 0 if linked else len(said), "p": [page] if said or top else [], "c": kids, "a": int(node.away)}
 
 
-def _folded(kids: list[dict]) -> list[dict]:
-    """Children with a key seen before join the earlier one as a repeated group; so a level has each key once."""
-    place: dict[str, int] = {}
-    out: list[dict] = []
-    for kid in kids:
-        if kid["k"] in place:
-            i = place[kid["k"]]
-            out[i] = align(out[i], kid)
-            out[i]["m"] = "*" if out[i]["m"] in "?*" else "+"
-        else:
-            place[kid["k"]] = len(out)
-            out.append(kid)
-    return out
+_OPTIONAL = {"1": "?", "+": "*", "?": "?", "*": "*"}
+
+
+def _maybe(kid: dict) -> dict:
+    return kid | {"m": _OPTIONAL[kid["m"]]}
 
 
 def align(a: dict, b: dict) -> dict:
     """The expression that covers both: mismatches turn into optional nodes, repeated nodes and text slots."""
-    slot = a["t"] if a["t"] == b["t"] or b["t"] is None else b["t"] if a["t"] is None else True
-    order = {kid["k"]: kid for kid in b["c"]}
-    out, used = [], set()
-    pending = list(b["c"])
+    slot = a["t"] if b["t"] is None or (a["t"] is not True and a["t"] == b["t"]) else b["t"] if a["t"] is None else True
+    left, right = {kid["k"] for kid in a["c"]}, {kid["k"]: kid for kid in b["c"]}
+    out, pending = [], iter(b["c"])
+    passed: set[str] = set()
+
+    def extras(until: str | None):
+        """What only b has, before b's node ``until``."""
+        for kid in pending:
+            passed.add(kid["k"])
+            if kid["k"] == until:
+                return
+            if kid["k"] not in left:
+                out.append(_maybe(kid))
+
     for kid in a["c"]:
-        other = order.get(kid["k"])
+        other = right.get(kid["k"])
         if other is None:
-            out.append(kid | {"m": {"1": "?", "+": "*"}.get(kid["m"], kid["m"])})
+            out.append(_maybe(kid))
             continue
-        while pending and pending[0]["k"] != kid["k"] and pending[0]["k"] not in {x["k"] for x in a["c"]}:
-            extra = pending.pop(0)
-            used.add(extra["k"])
-            out.append(extra | {"m": {"1": "?", "+": "*"}.get(extra["m"], extra["m"])})
-        pending = [x for x in pending if x["k"] != kid["k"]]
-        used.add(kid["k"])
-        met = align(kid, other)
-        met["m"] = "*" if "*" in kid["m"] + other["m"] or "?" in kid["m"] + other["m"] and "+" in kid["m"] + other["m"] else "?" if "?" in kid["m"] + other["m"] else "+" if "+" in kid["m"] + other["m"] else "1"
-        out.append(met)
-    out += [x | {"m": {"1": "?", "+": "*"}.get(x["m"], x["m"])} for x in b["c"] if x["k"] not in used]
-    return {"k": a["k"], "m": a["m"], "t": slot, "c": out, "a": a["a"] & b["a"]}
+        if kid["k"] not in passed:
+            extras(kid["k"])
+        marks = kid["m"] + other["m"]
+        many, maybe = "+" in marks or "*" in marks, "?" in marks or "*" in marks
+        out.append(align(kid, other) | {"m": "*" if many and maybe else "+" if many else "?" if maybe else "1"})
+    extras(None)
+    return {"k": a["k"], "m": a["m"], "t": slot, "v": a["v"] + b["v"], "p": sorted({*a["p"], *b["p"]})[:SURE_INSIDE], "c": out, "a": a["a"] & b["a"]}
 
 
 def expression(w: dict) -> str:
     """The wrapper as a union-free regular expression, for reading."""
-    inner = ("#TEXT" if w["t"] is True else json.dumps(w["t"], ensure_ascii=False) if w["t"] else "") + "".join(map(expression, w["c"]))
+    inner = ("#TEXT" if w["t"] is True else f"#{w['t']:x}" if w["t"] is not None else "") + "".join(map(expression, w["c"]))
     return f"<{w['k']}>{inner}</>" + ("" if w["m"] == "1" else w["m"])
 
 
@@ -214,63 +253,96 @@ def merge_wrappers(partial: list[dict]) -> dict:
     return {"n": sum(p["n"] for p in partial), "w": reduce(align, (p["w"] for p in partial))}
 
 
-def blocks(page: Node, wrapper: dict | None) -> list[str]:
-    """Text blocks of the content, in page order."""
-    content = [x for x in _walk(page) if x[0].name == "article"] or [x for x in _walk(page) if x[0].name == "main"]
-    content = [x for x in content if not any(x[0] is not y[0] and _inside(y[0], x[0]) for y in content)]
-    sure = wrapper is not None and wrapper["n"] >= SURE_PAGES
-    slots = wrapper["w"] if sure else None
-    out: list[str] = []
-    if content:  # an article's own words count, whether or not other pages say the same
-        for node, _ in content:
-            _say(node, None, out)
-    else:
-        node, path = _densest(page)
-        _say(node, _slot_at(slots, path), out)
-    return [b for b in out if b]
+def _name(key: str) -> str:
+    return re.split(r"[.(]", key, maxsplit=1)[0]
 
 
-def _walk(node: Node, path=()):
-    """(node, keys from the root) of every element that isn't away."""
-    stack = [(node, path)]
-    while stack:
-        now, at = stack.pop()
-        yield now, at
-        stack += [(c, (*at, c.key)) for c in reversed(now.children) if isinstance(c, Node) and not c.away]
+def _constant(slot: dict, inside: bool) -> bool:
+    """Whether a slot is template: always the same text, on enough different pages."""
+    return slot["t"] is not None and slot["t"] is not True and len(slot["p"]) >= (SURE_INSIDE if inside else SURE_PAGES)
 
 
-def _inside(outer: Node, inner: Node) -> bool:
-    return any(x is inner for x, _ in _walk(outer))
+def _masses(slot: dict, out: dict[int, int], inside: bool = False) -> int:
+    """Characters of variable text at and below every node of a wrapper, by the node's identity."""
+    inside = inside or _name(slot["k"]) in ("article", "main")
+    own = 0 if slot["a"] else (0 if _constant(slot, inside) else slot["v"]) + sum([_masses(c, out, inside) for c in slot["c"]])
+    out[id(slot)] = own
+    return own
 
 
-def _slot_at(slots: dict | None, path) -> dict | None:
+def region(wrapper: dict) -> tuple[tuple[str, ...], bool]:
+    """Keys that lead to the node that holds the host's content, and whether it is narrowed to articles below it."""
+    masses: dict[int, int] = {}
+    _masses(wrapper, masses)
+    node, path = wrapper, []
+    while True:
+        kids = [c for c in node["c"] if not c["a"]]
+        best = max(kids, key=lambda c: masses[id(c)], default=None)
+        if best is None or best["m"] in "+*" or _name(best["k"]) not in _BLOCK or _name(best["k"]) in _TEXTS or masses[id(best)] < MOST * masses[id(node)] or not masses[id(best)]:
+            break
+        node, path = best, [*path, best["k"]]
+    held, stack = 0, list(node["c"])
+    while stack:
+        at = stack.pop()
+        if _name(at["k"]) in ("article", "main") and not at["a"]:
+            held += masses[id(at)]
+        elif not at["a"]:
+            stack += at["c"]
+    return tuple(path), 2 * held > masses[id(node)] > 0
+
+
+def blocks(page: Node, wrapper: dict | None) -> list[str]:
+    """Text blocks of the content, in page order; ``wrapper`` is the host's, or None if it has too little evidence."""
+    if wrapper is not None and len(wrapper["w"]["p"]) >= SURE_PAGES:
+        found = _at_region(page, wrapper["w"], wrapper.setdefault("region", region(wrapper["w"])))
+        if found:
+            return found
+    own = wrap(page)
+    return _at_region(page, own, region(own)) or []
+
+
+def _at_region(page: Node, slots: dict, where: tuple[tuple[str, ...], bool]) -> list[str] | None:
+    """What the page says at the region; None if the page hasn't got it or says nothing there."""
+    path, narrowed = where
+    nodes, slot = [page], slots
     for key in path:
-        if slots is None:
+        nodes = [c for node in nodes for c in node.children if isinstance(c, Node) and not c.away and _key(c) == key]
+        slot = next((c for c in slot["c"] if c["k"] == key), None)
+        if not nodes or slot is None:
             return None
-        slots = next((c for c in slots["c"] if c["k"] == key), None)
-    return slots
+    inside = any(_name(key) in ("article", "main") for key in path)
+    out: list[str] = []
+    for node in nodes:
+        picked = _articles(node, slot) if narrowed else []
+        for part, its in picked or [(node, slot)]:
+            _say(part, its, out, inside or bool(picked))
+    return out or None
 
 
-def _mass(node: Node) -> int:
-    """Characters of running text in paragraphs below ``node``, links left out."""
-    return sum(len(c) if isinstance(c, str) else 0 if c.away or c.name == "a" else _mass(c) for c in node.children)
+def _articles(node: Node, slot: dict | None) -> list[tuple[Node, dict | None]]:
+    """The outermost article and main nodes below ``node``, in page order, with their slots."""
+    out, stack = [], [(node, slot)]
+    while stack:
+        now, its = stack.pop()
+        if now is not node and now.name in ("article", "main"):
+            out.append((now, its))
+            continue
+        kids = {c["k"]: c for c in its["c"]} if its else {}
+        stack += [(c, kids.get(_key(c))) for c in reversed(now.children) if isinstance(c, Node) and not c.away]
+    return out
 
 
-def _densest(page: Node) -> tuple[Node, tuple]:
-    """From the root down, follow the child that holds most of the text; the node and the keys that lead to it."""
-    node, path = page, ()
-    while True:
-        kids = [(_mass(c), c) for c in node.children if isinstance(c, Node) and not c.away]
-        if not kids:
-            return node, path
-        most, best = max(kids, key=lambda x: x[0])
-        if best.name not in _BLOCK or most < 0.7 * _mass(node) or best.name in ("p", "li", "blockquote", "pre"):
-            return node, path
-        node, path = best, (*path, best.key)
+def _walk(node: Node, path=()):
+    """(node, keys from the root) of every element that isn't away."""
+    stack = [(node, path)]
+    while stack:
+        now, at = stack.pop()
+        yield now, at
+        stack += [(c, (*at, c.key)) for c in reversed(now.children) if isinstance(c, Node) and not c.away]
 
 
-def _say(node: Node, slots: dict | None, out: list[str]) -> None:
-    """Append the blocks of ``node``; constant slots of the wrapper are left out inside unrepeated blocks."""
+def _say(node: Node, slots: dict | None, out: list[str], inside: bool) -> None:
+    """Append the blocks of ``node``; block slots that are constant and not repeated are left out."""
     line: list[str] = []
 
     def end():
@@ -279,21 +351,23 @@ def _say(node: Node, slots: dict | None, out: list[str]) -> None:
         if said:
             out.append(said)
 
-    def visit(at: Node, slot: dict | None):
+    def visit(at: Node, slot: dict | None, deep: bool):
         kids = {c["k"]: c for c in slot["c"]} if slot else {}
+        deep = deep or at.name in ("article", "main")
+        silent = slot is not None and at.name in _BLOCK and slot["m"] in "1?" and _constant(slot, deep)
         for child in at.children:
             if isinstance(child, str):
-                if slot is None or slot["t"] is True or slot["t"] is None or at.name not in _BLOCK or slot["m"] in "+*":
+                if not silent:
                     line.append(entities.unescape(child))
             elif not child.away:
                 if child.name in _BLOCK:
                     end()
-                    visit(child, kids.get(child.key))
+                    visit(child, kids.get(_key(child)), deep)
                     end()
                 else:
-                    visit(child, kids.get(child.key))
+                    visit(child, kids.get(_key(child)), deep)
 
-    visit(node, slots)
+    visit(node, slots, inside)
     end()
 
 
@@ -365,7 +439,17 @@ def extract(pages: DataFrame) -> DataFrame:
         return plain.mapInArrow(run, schema)
 
     def run_joined(batches):
+        known: tuple = (None, None)
         for batch in batches:
-            yield texts(batch, [None if w is None else {"n": n, "w": json.loads(w)} for n, w in zip(batch.column("n_pages").to_pylist(), batch.column("wrapper").to_pylist(), strict=True)])
-
-    return plain.join(wrappers, "host", "left").mapInArrow(run_joined, schema)
+            of = []
+            for n, w in zip(batch.column("n_pages").to_pylist(), batch.column("wrapper").to_pylist(), strict=True):
+                if known[0] != w:
+                    known = (w, {"n": n, "w": json.loads(w)})
+                of.append(known[1])
+            yield texts(batch, of)
+
+    # a hot host's wrapper is broadcast, so that its pages stay where they are
+    said = F.col("html").isNotNull() & (F.col("html") != "")
+    met = keyed_join(plain.where(said), wrappers.withColumn("__n", F.col("n_pages")), "host", plain.count())
+    none = plain.where(~said | said.isNull()).select("page_id", "url", F.lit("").alias("text"), F.lit(0).cast("long").alias("n_chars"))
+    return met.mapInArrow(run_joined, schema).unionByName(none)
