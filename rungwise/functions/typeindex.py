@@ -97,6 +97,11 @@ class TypicalSet:
         return [0 if s is None else s for s in slots]
 
 
+def word_width(k0: int, members: TypicalSet) -> int:
+    """Bits of a settled block's word: the schedule's, or as many as the numbers of a longer last block need."""
+    return max(k0, members.size.bit_length())
+
+
 def to_bits(number: int, width: int) -> str:
     return format(number, f"0{width}b") if width else ""
 

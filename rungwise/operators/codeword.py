@@ -6,16 +6,24 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.typeindex import FIRST_CHAR, unpack_bits
+from ..functions.typeindex import FIRST_CHAR, TypicalSet, unpack_bits, word_width
 from .ladder import LadderStore
 
 
-def _word_bits(k0: int):
-    """Packed word -> its bits; zeros where the block is open.  A longer last block's word keeps its own width."""
+def _word_bits(store: LadderStore):
+    """Packed word and symbol count -> the word's bits; zeros where the block is open."""
+    law, s = store.law, store.schedule
+    counts, num, den, k0 = list(law.counts), s.num, s.den, s.k0
+    widths: dict[int, int] = {}
 
     @F.pandas_udf("string")
-    def bits(word: pd.Series) -> pd.Series:
-        return pd.Series(["0" * k0 if w is None else unpack_bits(w, k0 if len(w) == -(-k0 // 8) else 8 * len(w)) for w in word], dtype=object)
+    def bits(word: pd.Series, n_sym: pd.Series) -> pd.Series:
+        out = []
+        for w, n in zip(word, n_sym, strict=True):
+            if n not in widths:
+                widths[n] = word_width(k0, TypicalSet(counts, num, den, n))
+            out.append("0" * widths[n] if w is None else unpack_bits(w, widths[n]))
+        return pd.Series(out, dtype=object)
 
     return bits
 
@@ -27,7 +35,7 @@ def cells(store: LadderStore) -> DataFrame:
     An open group's cell is zeros; every cell is filled up to its level's width.
     """
     s = store.schedule
-    out = store.blocks0.select(F.lit(0).alias("level"), F.col("blk").alias("cell"), _word_bits(s.k0)(F.col("word")).alias("bits"))
+    out = store.blocks0.select(F.lit(0).alias("level"), F.col("blk").alias("cell"), _word_bits(store)(F.col("word"), F.col("n_sym")).alias("bits"))
     symbol = lambda x: F.lpad(F.bin(F.ascii(x) - FIRST_CHAR), s.digit_bits, "0")
     marker = format(store.law.k, f"0{s.digit_bits}b")
     digits = F.when(F.col("settled"), F.repeat(F.lit(marker), F.col("n_sym"))).otherwise(F.array_join(F.transform(F.split("body", ""), symbol), ""))

@@ -13,7 +13,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.typeindex import FIRST_CHAR, TypicalSet, char_of, pack_bits, to_bits, unpack_bits
+from ..functions.typeindex import FIRST_CHAR, TypicalSet, char_of, pack_bits, to_bits, unpack_bits, word_width
 from ..plans.schedules import LadderSchedule, Law
 from .blocks import group_number, settled
 
@@ -46,7 +46,7 @@ def word_encoder(law: Law, s: LadderSchedule):
                 continue
             t = sets.setdefault(len(text), TypicalSet(counts, num, den, len(text)))
             number = t.index([ord(c) - FIRST_CHAR for c in text])
-            out.append(pack_bits(to_bits(number, max(k0, number.bit_length()))))
+            out.append(pack_bits(to_bits(number, word_width(k0, t))))
         return pd.Series(out, dtype=object)
 
     return encode
@@ -64,10 +64,7 @@ def word_decoder(law: Law, s: LadderSchedule):
                 out.append(None)
                 continue
             t = sets.setdefault(n, TypicalSet(counts, num, den, n))
-            width = max(k0, t.size.bit_length())
-            bits = unpack_bits(data, width) if len(data) * 8 >= width else unpack_bits(data, len(data) * 8)
-            number = int(bits[:k0], 2) if len(data) == -(-k0 // 8) else int.from_bytes(data, "big") >> (-width % 8)
-            out.append("".join(map(char_of, t.unindex(number))))
+            out.append("".join(map(char_of, t.unindex(int(unpack_bits(data, word_width(k0, t)), 2)))))
         return pd.Series(out, dtype=object)
 
     return decode

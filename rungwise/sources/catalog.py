@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..plans.schedules import Law
+from .shared import written
 
 LI_KEY = ("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_shipdate")
 
@@ -76,21 +77,21 @@ COARSE = 2048
 
 
 def index_rows(df: DataFrame, key: tuple[str, ...]) -> DataFrame:
-    """``pos``: dense position from 0 in key order.
+    """``pos``: dense position from 0 in the order of the whole key, nulls first; equal keys in any order.
 
-    Rows are put in buckets by ranges of the first (numeric) key, numbered within their bucket, and shifted by the
-    counts before it; counts are summed within coarse ranges of buckets and across them, so that no window sees the
-    whole table.  Two numbers reach the driver.
+    Beyond one bucket's rows the table is range-partitioned by the whole key (its own sampled bounds, so outliers and
+    uneven keys don't fill a bucket) and written to the shared folder, since a second evaluation could draw other
+    bounds.  Rows are numbered within their bucket and shifted by the counts before it; counts are summed within coarse
+    ranges of buckets and across them, so that no window sees the whole table.
     """
-    first = F.col(key[0]).cast("double")
-    low, high, n = df.agg(F.min(first), F.max(first), F.count("*")).first()
+    n = df.count()
+    order = [F.col(k).asc_nulls_first() for k in key]
     if not n:
         return df.withColumn("pos", F.lit(0).cast("long"))
-    buckets = max(1, -(-n // ROWS_PER_BUCKET))
-    width = (high - low + 1) / buckets
-    bucketed = df.withColumn("bucket", F.floor((first - low) / width).cast("long"))
+    buckets = -(-n // ROWS_PER_BUCKET)
     if buckets == 1:
-        return bucketed.withColumn("pos", F.row_number().over(Window.partitionBy("bucket").orderBy(*key)).cast("long") - 1).drop("bucket")
+        return df.withColumn("pos", F.row_number().over(Window.partitionBy(F.lit(0)).orderBy(*order)).cast("long") - 1)
+    bucketed = written(df.repartitionByRange(buckets, *order).withColumn("bucket", F.spark_partition_id().cast("long")), "ordered")
     span = -(-buckets // COARSE)
     counts = bucketed.groupBy("bucket").agg(F.count("*").alias("n")).withColumn("range", F.floor(F.col("bucket") / span))
     before = F.coalesce(F.sum("n").over(Window.partitionBy("range").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
@@ -101,7 +102,7 @@ def index_rows(df: DataFrame, key: tuple[str, ...]) -> DataFrame:
         at += c
     table = F.broadcast(df.sparkSession.createDataFrame(starts, "range long, start long"))
     shifts = counts.withColumn("within", before).join(table, "range").select("bucket", (F.col("within") + F.col("start")).alias("shift"))
-    numbered = bucketed.withColumn("nth", F.row_number().over(Window.partitionBy("bucket").orderBy(*key)))
+    numbered = bucketed.withColumn("nth", F.row_number().over(Window.partitionBy("bucket").orderBy(*order)))
     return numbered.join(shifts, "bucket").withColumn("pos", F.col("shift") + F.col("nth") - 1).drop("bucket", "shift", "nth")
 
 

@@ -195,7 +195,7 @@ p3 AS (SELECT edit_id, (CASE WHEN so THEN 'S' ELSE 'O' END) || (CASE WHEN sn THE
   CAST(CASE kind WHEN 'SS' THEN k0 WHEN 'OO' THEN CASE coalesce(home, 2) WHEN 1 THEN k1 ELSE k2 END ELSE {sql._FULL.format(h="greatest(coalesce(home, 2), coalesce(nh, 2))")} END AS BIGINT) AS bits_written
 FROM p3 JOIN ed USING (edit_id), kk""",
     "dense_headers": sql._with(sql._sym("li_small_qty"), _after[0], sql._set(1, 2), sql._levels(64), """cells AS (SELECT 1 AS level, g1 AS grp, any_value(n1) AS b, any_value(o1) AS m, coalesce(sum(n_sym) FILTER (NOT settled), 0) AS len FROM home WHERE s1 GROUP BY g1
-  UNION ALL SELECT 2, g2, any_value(n2), any_value(o2), coalesce(sum(n_sym) FILTER (NOT s1), 0) FROM home WHERE s2 GROUP BY g2),
+  UNION ALL SELECT 2, g2, any_value(n2), any_value(o2), coalesce(sum(n_sym) FILTER (NOT s1), 0) FROM home, nn WHERE s2 AND n // 64 // 8 // 16 >= 1 GROUP BY g2),
 priced AS (SELECT level, unnest(['plain', 'radix']) AS variant, unnest([b + 2 * len, CAST(floor(log2(b)) + 1 + ceil(log2(factorial(CAST(b AS INTEGER)) / (factorial(CAST(m AS INTEGER)) * factorial(CAST(b - m AS INTEGER))))) + ceil(len * log2(3)) AS BIGINT)]) AS bits FROM cells)""")
     + "SELECT level, variant, count(*) AS cells, CAST(sum(bits) AS BIGINT) AS bits, true AS same FROM priced GROUP BY level, variant",
     "ladder_read_scattered": sql._demo(sql._widths(128), "pts AS (SELECT r AS req_id, (r * 7919 + j * 104729 + 13) % n AS p FROM range(50) a(r), range(16) b(j), nn)")

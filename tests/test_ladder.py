@@ -4,7 +4,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from rungwise import queries as q
-from rungwise.operators import baselines, ladder, ranked
+from rungwise.operators import baselines, codeword, ladder, ranked
 from rungwise.operators.blocks import cut_blocks, cut_text
 from rungwise.plans import bounds
 from rungwise.plans.schedules import PRESETS, Law, ladder_schedule, paper_levels, ranked_schedule, unit_symbols
@@ -120,3 +120,39 @@ def test_syndromes_decode_light_patterns():
                 value ^= 1 << r
         found = baselines.decode_syndrome(value, 64, 40, 2)
         assert found is not None and sum(found) <= len(at)
+
+
+@pytest.mark.parametrize("tails", [range(128, 176), range(176, 216), range(216, 256)])
+def test_every_tail_length_decodes_to_itself(spark, tails):
+    """Last blocks of 128 to 255 symbols, all settled: one width for each length, on both sides."""
+    import random
+
+    law = Law(("0", "1"), (539853, 60147))
+    s = ladder_schedule(law, 128, 1, 2, [8, 16])
+    rnd, rows = random.Random(3), []
+    for n in tails:
+        for part in (0.06, 0.08, 0.1, 0.12, 0.14):
+            body = ["1"] * round(part * n) + ["0"] * (n - round(part * n))
+            rnd.shuffle(body)
+            rows.append((0, len(rows), n, "".join(body)))
+    blocks = spark.createDataFrame(rows, "chunk long, blk long, n_sym int, body string")
+    st = ladder.encode(blocks, law, s, 128 * len(rows))
+    assert st.blocks0.where("not settled").isEmpty()
+    back = {r.blk: r.body for r in ladder.decode(st).collect()}
+    assert all(back[r[1]] == r[3] for r in rows)
+    wide = {r.cell: r.bits for r in codeword.cells(st).where("level = 0").collect()}
+    assert all(int(wide[r[1]], 2) and len(wide[r[1]]) >= s.k0 for r in rows)
+
+
+def test_dense_positions_over_many_buckets(spark, monkeypatch):
+    import random
+
+    from rungwise.sources import catalog
+
+    monkeypatch.setattr(catalog, "ROWS_PER_BUCKET", 40)
+    monkeypatch.setattr(catalog, "COARSE", 4)
+    rnd = random.Random(4)
+    rows = [(rnd.choice([None, 1, 2, 3, 10**15]), i) for i in range(1000)]
+    got = {(r.k, r.j): r.pos for r in catalog.index_rows(spark.createDataFrame(rows, "k long, j long"), ("k", "j")).collect()}
+    assert got == {r: i for i, r in enumerate(sorted(rows, key=lambda r: (r[0] is not None, r[0] or 0, r[1])))}
+    assert catalog.index_rows(spark.createDataFrame(rows, "k long, j long").where("false"), ("k",)).isEmpty()

@@ -92,7 +92,7 @@ def test_queries_match_their_sql(spark, sf, name):
     con = duckdb.connect()
     for t in ("lineitem", "events", "documents"):
         con.execute(f"CREATE VIEW {t} AS SELECT * FROM read_parquet('{sf}/{t}.parquet')")
-    want = con.execute(f"SELECT {', '.join(cols)} FROM ({storage.ORACLES[name]})").fetchall()
+    want = con.execute("SELECT {} FROM ({})".format(", ".join(f'"{c}"' for c in cols), storage.ORACLES[name])).fetchall()
     assert sorted(map(str, map(tuple, df.select(*cols).collect()))) == sorted(map(str, want))
 
 
