@@ -1,15 +1,17 @@
 """Removal of long passages that repeat across documents, located with sharded Aho-Corasick automata.
 
-Confirming.  A window is ``WINDOW`` consecutive words.  Of the 25-word grams in a window the one with the
-smallest hash is its anchor; equal windows have equal anchors.  Consecutive windows of a document that share an
-anchor form a run (about 13 windows), and one row per run (anchor, hash of the run's words) is enough to find
-most repeats: a run equal to a run of a smaller doc_id repeats as a whole.  Only runs whose anchor occurs with
-different surroundings are resolved window by window.  All counting is by partial aggregates, so copies in any
-number cost no more than their own rows.
-
-Locating.  Confirmed passages are cut into ``WINDOW``-word patterns, compiled into one automaton per shard (a
-bounded set of documents together with every passage confirmed for them) and every document is streamed through
-its shard's automaton; the words of each occurrence at word boundaries go.
+Candidates.  A window is ``WINDOW`` consecutive words.  Of the 25-word grams in a window the one with the smallest
+hash is its anchor; equal windows have equal anchors.  Consecutive windows of a document that share an anchor form
+a run (about 13 windows), and one row per run (anchor, hash of the run's words) is enough to find most repeats: a
+run equal to a run of a smaller doc_id repeats as a whole.  Only runs whose anchor occurs with different
+surroundings are resolved window by window.  All counting is by partial aggregates, so copies in any number cost no
+more than their own rows; hot runs and windows are spread over all tasks.
+
+Confirming and locating.  Hashes only say where to look.  Every stretch that seems to repeat is covered with windows,
+and the texts of these windows are taken from the smallest document that has them: these are the patterns.  Documents
+are dealt to shards; a shard compiles the patterns asked for by its documents into one automaton and streams its
+documents through it.  Only words inside an occurrence of a pattern of a smaller doc_id go, so what is removed is
+decided by comparing texts.
 """
 
 from __future__ import annotations
@@ -23,12 +25,14 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, small_batches
+from .common import cut, keyed_join, small_batches
 
 WINDOW = 50
 GRAM = 25
-#: A shard's automaton is closed when its patterns reach this many bytes.
+#: Bytes of patterns that a shard's automaton holds, about.
 SHARD_BYTES = 2_000_000
+#: Shards whose requests to one document travel in one row.
+SHARDS_A_ROW = 1024
 _ODD = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0xFF51AFD7ED558CCD))
 
 
@@ -117,99 +121,171 @@ def _run_rows(batches):
             )
 
 
+_FOUND = "doc_id long, rk long, text string, first int, window long"
+
+
 def _window_rows(batches):
-    """Hashes of the windows in the runs that need them."""
+    """Every document (its text), and the hashes of the windows in those of its runs that need them."""
+    names = [c.split()[0] for c in _FOUND.split(", ")]
     for batch in batches:
         ids, keys, spans = batch.column("doc_id").to_pylist(), batch.column("rk").to_pylist(), batch.column("spans").to_pylist()
+        n = len(ids)
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("rk"), batch.column("text").cast(pa.string()), pa.nulls(n, pa.int32()), pa.nulls(n, pa.int64())], names)
         out = []
         for i, text in enumerate(batch.column("text").to_pylist()):
-            windows = gram_hashes(word_hashes(split_words(text)), WINDOW)
-            at = np.concatenate([np.arange(s["first"], s["first"] + s["n_win"]) for s in spans[i]])
-            out.append((ids[i], keys[i], at, windows[at]))
+            if spans[i]:
+                windows = gram_hashes(word_hashes(split_words(text)), WINDOW)
+                at = np.concatenate([np.arange(s["first"], s["first"] + s["n_win"]) for s in spans[i]])
+                out.append((ids[i], keys[i], at, windows[at]))
         if out:
             sizes = [len(x[2]) for x in out]
-            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(np.array([x[0] for x in out], np.int64), sizes)), pa.array(np.repeat(np.array([x[1] for x in out], np.int64), sizes)), pa.array(np.concatenate([x[2] for x in out]).astype(np.int32)), _signed(np.concatenate([x[3] for x in out]))], ["doc_id", "rk", "first", "window"])
+            total = sum(sizes)
+            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(np.array([x[0] for x in out], np.int64), sizes)), pa.array(np.repeat(np.array([x[1] for x in out], np.int64), sizes)), pa.nulls(total, pa.string()), pa.array(np.concatenate([x[2] for x in out]).astype(np.int32)), _signed(np.concatenate([x[3] for x in out]))], names)
 
 
-def confirmed(docs: DataFrame) -> DataFrame:
-    """``(doc_id, rk, spans array<struct<first, n_win>>)``: windows that also start in a smaller doc_id."""
+def candidates(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Documents that share anchors, ``(doc_id, rk, text)``, and what seems to repeat in them:
+    ``(doc_id, rk, first, n_win, owner)``, windows that also start in a smaller doc_id, with the place
+    ``owner(doc_id, rk, first)`` of the first one's smallest equal."""
     keyed = _keyed(docs)
     runs = cut(keyed.mapInArrow(_run_rows, f"{_KEY}, anchor long, run long, first int, n_win int"))
-    owners = runs.groupBy("anchor", "run").agg(F.min("doc_id").alias("owner"))
-    shapes = owners.groupBy("anchor").agg(F.count("*").alias("n_runs"))
-    owners = owners.join(shapes, "anchor").select("anchor", "run", "owner", (F.col("n_runs") > 1).alias("mixed"))
+    total = runs.count()
+    owners = runs.groupBy("anchor", "run").agg(F.min(F.struct("doc_id", "rk", "first")).alias("owner"), F.max("doc_id").alias("last"), F.count("*").alias("rows"))
+    shapes = owners.groupBy("anchor").agg(F.count("*").alias("__n"), F.min("owner.doc_id").alias("low"), F.max("last").alias("high")).where("low < high").select("anchor", "__n", (F.col("__n") > 1).alias("mixed"))
     # the rest is neither repeated from a smaller id nor able to be
-    told = cut(runs.join(owners, ["anchor", "run"]).where("owner < doc_id or mixed").select("doc_id", "rk", "first", "n_win", (F.col("owner") < F.col("doc_id")).alias("whole")))
-    open_runs = told.where("not whole").groupBy("doc_id", "rk").agg(F.collect_list(F.struct("first", "n_win")).alias("spans"))
-    windows = cut(keyed.join(open_runs, ["doc_id", "rk"]).dropDuplicates(["doc_id", "rk"]).select("doc_id", "rk", "text", "spans").mapInArrow(_window_rows, f"{_KEY}, first int, window long"))
-    least = windows.groupBy("window").agg(F.min("doc_id").alias("owner"), F.max("doc_id").alias("last")).where("owner < last")
-    single = windows.join(least, "window").where("owner < doc_id").select("doc_id", "rk", "first", F.lit(1).alias("n_win"))
-    return told.where("whole").select("doc_id", "rk", "first", "n_win").unionByName(single).groupBy("doc_id", "rk").agg(F.collect_list(F.struct("first", "n_win")).alias("spans"))
-
-
-def merged(spans: list[dict]) -> list[tuple[int, int]]:
-    """Word intervals [start, end) that the windows of ``spans`` cover."""
+    known = keyed_join(owners, shapes, "anchor", total).select("run", "owner", "mixed", F.col("rows").alias("__n"))
+    told = cut(keyed_join(runs.drop("anchor"), known, "run", total).select("doc_id", "rk", "first", "n_win", "owner", (F.col("owner.doc_id") < F.col("doc_id")).alias("whole"), "mixed"))
+    spans = told.groupBy("doc_id", "rk").agg(F.collect_list(F.when(F.col("mixed") & ~F.col("whole"), F.struct("first", "n_win"))).alias("spans"))
+    found = cut(keyed.join(spans, ["doc_id", "rk"]).dropDuplicates(["doc_id", "rk"]).select("doc_id", "rk", "text", "spans").mapInArrow(_window_rows, _FOUND))
+    # windows of whole runs can be the smallest equals of single ones, but their runs' owners are smaller still
+    windows = found.where("window is not null").select("doc_id", "rk", "first", "window")
+    least = windows.groupBy("window").agg(F.min(F.struct("doc_id", "rk", "first")).alias("owner"), F.max("doc_id").alias("last"), F.count("*").alias("__n")).where("owner.doc_id < last").drop("last")
+    single = keyed_join(windows, least, "window", windows.count()).where("owner.doc_id < doc_id").select("doc_id", "rk", "first", F.lit(1).alias("n_win"), "owner")
+    repeated = cut(told.where("whole").select("doc_id", "rk", "first", "n_win", "owner").unionByName(single))
+    return found.where("window is null").select("doc_id", "rk", "text"), repeated
+
+
+def cover(spans: list[tuple[int, int, int]]) -> list[tuple[int, int]]:
+    """Of windows given as sorted ``(first, number, ...)`` ranges, few that cover the same words: ``(range, start)`` pairs."""
     out: list[tuple[int, int]] = []
-    for first, end in sorted((s["first"], s["first"] + s["n_win"] - 1 + WINDOW) for s in spans):
-        if out and first <= out[-1][1]:
-            out[-1] = (out[-1][0], max(end, out[-1][1]))
+    i, covered = 0, -1
+    while i < len(spans):
+        if spans[i][0] > covered:  # a new stretch begins
+            out.append((i, spans[i][0]))
+            covered = spans[i][0] + WINDOW
+        # of the windows that begin within what is covered, the last one reaches furthest
+        best, j = None, i
+        while j < len(spans) and spans[j][0] <= covered:
+            at = min(spans[j][0] + spans[j][1] - 1, covered)
+            if at + WINDOW > covered and (best is None or at > best[1]):
+                best = (j, at)
+            j += 1
+        if best is None:
+            i = j
         else:
-            out.append((first, end))
+            out.append(best)
+            covered = best[1] + WINDOW
+            while i < len(spans) and spans[i][0] + spans[i][1] + WINDOW - 1 <= covered:
+                i += 1
     return out
 
 
-def _patterns(words: list[bytes], spans: list[tuple[int, int]]):
-    for start, end in spans:
-        for at in [*range(start, end - WINDOW, WINDOW), end - WINDOW]:
-            yield b" ".join(words[at : at + WINDOW])
+def _requests(batches):
+    """The places whose windows cover what seems to repeat in a document."""
+    names = ["doc_id", "rk", "own_id", "own_rk", "own_first"]
+    for batch in batches:
+        rows = []
+        for doc_id, rk, spans in zip(*(batch.column(c).to_pylist() for c in ("doc_id", "rk", "spans")), strict=True):
+            ranges = sorted((s["first"], s["n_win"], k) for k, s in enumerate(spans))
+            for i, start in cover(ranges):
+                first, _, k = ranges[i]
+                o = spans[k]["owner"]
+                rows.append((doc_id, rk, o["doc_id"], o["rk"], o["first"] + start - first))
+        if rows:
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int32()), strict=True)], names)
+
+
+def _pattern_rows(batches):
+    """The texts of the windows that shards asked a document for."""
+    for batch in batches:
+        rows = []
+        for doc_id, text, asked in zip(*(batch.column(c).to_pylist() for c in ("doc_id", "text", "asked")), strict=True):
+            words = split_words(text)
+            rows += [(x["shard"], 0, doc_id, None, b" ".join(words[x["first"] : x["first"] + WINDOW]).decode("utf-8", "surrogatepass")) for x in asked]
+        if rows:
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.string()), strict=True)], ["shard", "kind", "doc_id", "rk", "text"])
 
 
-def _located(shard: list[tuple]) -> list[np.ndarray]:
-    """For each (doc_id, words, spans): which of its words a pattern covers, by one pass of the shard's automaton."""
-    since: dict[str, int] = {}
-    for doc_id, words, spans in shard:
-        for pattern in _patterns(words, spans):
-            text = pattern.decode("latin-1")
-            since[text] = min(doc_id, since.get(text, doc_id))
-    gone = [np.zeros(len(words), bool) for _, words, _ in shard]
-    if not since:
-        return gone
-    automaton = ahocorasick.Automaton()
-    for text, doc_id in since.items():
-        automaton.add_word(f" {text} ", doc_id)
-    automaton.make_automaton()
-    for (doc_id, words, _), mask in zip(shard, gone, strict=True):
-        if doc_id is None or len(words) < WINDOW:
-            continue
+def removed_words(doc_id: int, words: list[bytes], automaton) -> np.ndarray:
+    """Which words an occurrence of a smaller document's pattern covers."""
+    gone = np.zeros(len(words), bool)
+    if len(words) >= WINDOW:
         begins = np.cumsum([0, *(len(w) + 1 for w in words)])
-        hay = " " + b" ".join(words).decode("latin-1") + " "
-        for end, known in automaton.iter(hay):
-            if known <= doc_id:  # confirmed for a document with this id or a smaller one
+        for end, owner in automaton.iter(" " + b" ".join(words).decode("latin-1") + " "):
+            if owner < doc_id:
                 last = int(np.searchsorted(begins, end))
-                mask[last - WINDOW : last] = True
+                gone[last - WINDOW : last] = True
     return gone
 
 
-def _cleaned(batches, with_text: bool):
-    def out(shard):
-        rows = []
-        for (doc_id, words, _), mask in zip(shard, _located(shard), strict=True):
-            kept = b" ".join([w for w, g in zip(words, mask.tolist(), strict=True) if not g] if mask.any() else words)
-            rows.append((doc_id, len(words), int(mask.sum()), hashlib.sha256(kept).hexdigest(), kept.decode("utf-8", "surrogatepass") if with_text else None))
-        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string()), strict=True)], ["doc_id", "n_words", "n_removed", "kept_sha256", "kept_text"])
+def compiled(patterns: dict[str, int]):
+    """One automaton for patterns (words joined by single spaces, as Latin-1 bytes) with their smallest document."""
+    automaton = ahocorasick.Automaton()
+    for text, doc_id in patterns.items():
+        automaton.add_word(f" {text} ", doc_id)
+    automaton.make_automaton()
+    return automaton
+
 
+def _streamed(batches):
+    """Rows sorted by shard, patterns first: each shard's automaton is compiled, then its documents run through it."""
+    names = ["doc_id", "rk", "n_removed", "kept_sha256", "kept_text"]
+    kinds = (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string())
+    now, patterns, automaton = None, {}, None
     for batch in batches:
-        shard, size = [], 0
-        for doc_id, text, spans in zip(*(batch.column(c).to_pylist() for c in ("doc_id", "text", "spans")), strict=True):
+        rows = []
+        for shard, kind, doc_id, rk, text in zip(*(batch.column(c).to_pylist() for c in ("shard", "kind", "doc_id", "rk", "text")), strict=True):
+            if shard != now:
+                now, patterns, automaton = shard, {}, None
+            if kind == 0:
+                known = text.encode("utf-8", "surrogatepass").decode("latin-1")
+                patterns[known] = min(doc_id, patterns.get(known, doc_id))
+                continue
+            if not patterns:
+                continue
+            if automaton is None:
+                automaton = compiled(patterns)
+            words = split_words(text)
+            gone = removed_words(doc_id, words, automaton)
+            if gone.any():
+                kept = b" ".join([w for w, g in zip(words, gone.tolist(), strict=True) if not g])
+                rows.append((doc_id, rk, int(gone.sum()), hashlib.sha256(kept).hexdigest(), kept.decode("utf-8", "surrogatepass")))
+        if rows:
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)], names)
+
+
+def changed(docs: DataFrame) -> DataFrame:
+    """``(doc_id, rk, n_removed, kept_sha256, kept_text)`` of the documents that lose words."""
+    texts, repeated = candidates(docs)
+    spans = repeated.groupBy("doc_id", "rk").agg(F.collect_list(F.struct("first", "n_win", "owner")).alias("spans"))
+    asked = cut(spans.mapInArrow(_requests, "doc_id long, rk long, own_id long, own_rk long, own_first int"))
+    shards = max(1, -(-asked.count() * WINDOW * 8 // SHARD_BYTES))
+    shard = F.pmod(F.xxhash64("doc_id", "rk"), F.lit(shards))
+    by_owner = asked.select(shard.alias("shard"), F.col("own_id").alias("doc_id"), F.col("own_rk").alias("rk"), F.col("own_first").alias("first")).distinct()
+    by_owner = by_owner.groupBy("doc_id", "rk", F.floor(F.col("shard") / SHARDS_A_ROW).alias("part")).agg(F.collect_list(F.struct("shard", "first")).alias("asked"))
+    patterns = texts.join(by_owner.hint("merge"), ["doc_id", "rk"]).select("doc_id", "text", "asked").mapInArrow(_pattern_rows, "shard long, kind int, doc_id long, rk long, text string")
+    dealt = patterns.unionByName(texts.select(shard.alias("shard"), F.lit(1).alias("kind"), "doc_id", "rk", "text"))
+    return dealt.repartition("shard").sortWithinPartitions("shard", "kind").mapInArrow(_streamed, f"{_KEY}, n_removed long, kept_sha256 string, kept_text string")
+
+
+def _plain(batches, with_text: bool):
+    for batch in batches:
+        rows = []
+        for text in batch.column("text").to_pylist():
             words = split_words(text)
-            spans = merged(spans or [])
-            shard.append((doc_id, words, spans))
-            size += sum(sum(map(len, words[a:b])) for a, b in spans)
-            if size >= SHARD_BYTES:
-                yield out(shard)
-                shard, size = [], 0
-        if shard:
-            yield out(shard)
+            kept = b" ".join(words)
+            rows.append((len(words), hashlib.sha256(kept).hexdigest(), kept.decode("utf-8", "surrogatepass") if with_text else None))
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("rk"), *(pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.string(), pa.string()), strict=True))], ["doc_id", "rk", "n_words", "whole_sha256", "whole_text"])
 
 
 def remove_repeats(docs: DataFrame, with_text: bool = True) -> DataFrame:
@@ -220,7 +296,8 @@ def remove_repeats(docs: DataFrame, with_text: bool = True) -> DataFrame:
     compared; repeated rows are judged alike; an empty table gives an empty result; other columns are ignored.
     """
     small_batches(docs.sparkSession)
-    spans = confirmed(docs)
-    joined = _keyed(docs).join(spans, ["doc_id", "rk"], "left").select("doc_id", "text", "spans")
-    out = joined.mapInArrow(lambda batches: _cleaned(batches, with_text), "doc_id long, n_words long, n_removed long, kept_sha256 string, kept_text string")
-    return out.select("doc_id", "n_words", "n_removed", "kept_sha256", *(["kept_text"] if with_text else []))
+    lost = cut(changed(docs).select("doc_id", "rk", "n_removed", "kept_sha256", *(["kept_text"] if with_text else [])))
+    every = _keyed(docs).mapInArrow(lambda batches: _plain(batches, with_text), f"{_KEY}, n_words long, whole_sha256 string, whole_text string")
+    out = every.join(lost, ["doc_id", "rk"], "left")
+    text = [F.coalesce("kept_text", "whole_text").alias("kept_text")] if with_text else []
+    return out.select("doc_id", "n_words", F.coalesce("n_removed", F.lit(0).cast("long")).alias("n_removed"), F.coalesce("kept_sha256", "whole_sha256").alias("kept_sha256"), *text)
