@@ -82,13 +82,55 @@ def test_base_spans_equal_plain_patterns():
         assert [(a, b) for k, a, b in got if k == "ip"] == [m.span() for m in plain["ip"].finditer(t) if all(int(x) <= 255 for x in m[0].split("."))], t
 
 
-def test_disclosing_terms_are_spans(spark):
-    rows = [(i, f"contact zyxwvu at bob@x.org today number {i}") for i in range(12)] + [(100 + i, f"contact someone today number {i}") for i in range(60)]
-    got = {r.doc_id: r for r in sanitize.find_personal_data(docs(spark, rows)).collect()}
-    word = rows[0][1].index("zyxwvu")
-    assert f"term:{word}:{word + 6}" in got[0].spans and got[100].spans == "" and got[0].n_email == 1
-    at = rows[0][1].index("bob")
+def plain_disclosing(texts, disclosure=0.9, support=5):
+    """Terms by brute force over all pairs of entities and terms."""
+    from math import log2
+
+    n, holds, whole, near, different = len(texts), defaultdict(int), defaultdict(int), defaultdict(int), defaultdict(set)
+    for t in texts:
+        spans = sanitize.base_spans(t)
+        spans = spans + sanitize.secrets(t, spans)
+        bare = sanitize.blanked(t, spans)
+        words = set(sanitize._words(bare.lower()))
+        kinds = {k for k, _, _ in spans}
+        for e in kinds | {f"{k} {t[a:b].lower()}" for k, a, b in spans}:
+            holds[e] += 1
+        for w in words:
+            whole[w] += 1
+            different[w].add(t)
+            for k in kinds:
+                near[k, w] += 1
+        for pair in sanitize.contexts(t, bare, spans):
+            near[pair] += 1
+            different[pair].add(t)
+    return {w for (e, w), both in near.items() if both >= support and whole[w] >= support and (e in sanitize.ENTITIES or len(different[e, w]) >= support) and len(different[w]) >= support and 0 < holds[e] < n and log2(both * n / (whole[w] * holds[e])) >= disclosure * log2(n / holds[e])}
+
+
+def test_disclosing_terms_are_spans_wherever_they_stand(spark, monkeypatch):
+    rows = [(i, f"contact zyxwvu7 at bob@x.org today number {i}") for i in range(12)] + [(100 + i, f"contact someone today number {i}") for i in range(60)]
+    far = "plain words go on here and there " * 30
+    rows += [(300, f"Zyxwvu7 {far} the end"), (301, "mail ann@y.org now " + far + " zyxwvu7"), (302, None), (303, "")]
+    rows += [(400 + i, "copied text with qqq and dan@z.org in it") for i in range(9)]  # copies are no evidence
+    rows += [(500 + i, f'some token = "f3ef4d6b2755a36d7d9c25bd72c4d5f67e061fda" {i}') for i in range(6)] + [(None, "a token alone")]
+    made = docs(spark, rows)
+    found = sanitize.find_personal_data(made).collect()
+    got = {r.doc_id: r for r in found}
+    text = dict(rows)
+    want = plain_disclosing([t or "" for _, t in rows])
+    assert {"zyxwvu7", "token"} <= want and "qqq" not in want and "today" not in want
+    for i, t in rows:
+        spans = sanitize.base_spans(t)
+        spans = spans + sanitize.secrets(t or "", spans)
+        terms = [("term", m.start(), m.end()) for m in sanitize._word(t or "") if m[0].lower() in want and not any(a < m.end() and m.start() < b for _, a, b in spans)]
+        assert got[i].spans == sanitize.joined(spans + terms), (i, got[i].spans)
+    assert "term:0:7" in got[300].spans and got[301].n_term == 1 and got[101].spans == "" and got[500].spans.startswith("secret:")
+    at = text[0].index("bob")
     assert hashlib.sha256(f"email:{at}:{at + 9}".encode()).hexdigest() == got[0].base_sha256
+    masked = {r.doc_id: r.text for r in sanitize.sanitise(made).collect()}
+    assert masked[300].startswith("[TERM] plain") and masked[0].startswith("contact [TERM] ") and masked[0].endswith(" [EMAIL] today number 0") and masked[None] == "a [TERM] alone"
+    monkeypatch.setattr(sanitize, "SHIPPED_TERMS", 1)
+    monkeypatch.setattr(sanitize, "HELD_TERMS", 10)
+    assert sorted(map(str, sanitize.find_personal_data(made).collect())) == sorted(map(str, found))
 
 
 def test_wu_manber_equals_brute_force(sentences):
@@ -146,6 +188,31 @@ def test_repeats_equal_brute_force(spark, sentences):
     assert got == brute_repeats(rows)
 
 
+def test_covers_are_few_windows_for_the_same_words():
+    rng = np.random.default_rng(6)
+    for _ in range(300):
+        spans = sorted((int(rng.integers(0, 400)), int(rng.integers(1, 30)), k) for k in range(rng.integers(1, 12)))
+        words = {w for f, n, _ in spans for w in range(f, f + n - 1 + 50)}
+        chosen = repeated_phrases.cover(spans)
+        assert {w for _, at in chosen for w in range(at, at + 50)} == words
+        assert all(spans[i][0] <= at < spans[i][0] + spans[i][1] for i, at in chosen) and len(chosen) <= 2 * len(words) / 50 + 1
+
+
+def test_texts_decide_what_repeats_not_hashes(spark, sentences, monkeypatch):
+    """Without an automaton nothing goes; with hashes that all collide nothing wrong goes."""
+    rows = [*enumerate(sentences[:6]), (50, sentences[3]), (51, " ".join(sentences[4].split()[10:70]))]
+    table = docs(spark, rows)
+    monkeypatch.setattr(repeated_phrases, "SHARD_BYTES", 3000)
+    got = sorted((r.doc_id, r.n_words, r.n_removed, r.kept_sha256) for r in repeated_phrases.remove_repeats(table, with_text=False).collect())
+    assert got == brute_repeats(rows)
+    words = [s.split() for s in sentences[:2]]
+    automaton = repeated_phrases.compiled({" ".join(words[0][20:70]): 0})
+    as_bytes = lambda w: [x.encode() for x in w]
+    assert repeated_phrases.removed_words(1, as_bytes(words[1]), automaton).sum() == 0
+    assert repeated_phrases.removed_words(1, as_bytes(words[0]), automaton).nonzero()[0].tolist() == [*range(20, 70)]
+    assert repeated_phrases.removed_words(0, as_bytes(words[0]), automaton).sum() == 0
+
+
 def test_simhash_equals_brute_force(spark, sentences):
     rows = [*enumerate(sentences), *((100 + i, s + f" tail{i}") for i, s in enumerate(sentences[:15])), (200, None), (201, ""), (202, "one"), (203, "ONE")]
     got = {r.doc_id: r for r in simhash.near_duplicates(docs(spark, rows)).collect()}
@@ -263,6 +330,45 @@ def test_page_text(spark):
     assert got[50].text == got[51].text == "" and got[52].text == "a\nb <c>"
 
 
+def stripped(html):
+    """A page whose elements have neither telling names nor attributes."""
+    import re
+
+    html = re.sub(r"<(/?)(article|main|nav|aside|footer|header|section)\b[^>]*>", r"<\1div>", html)
+    return re.sub(r'\s(class|id|role)="[^"]*"', "", html)
+
+
+def test_wrapper_finds_the_content_without_telling_names(spark, monkeypatch):
+    pages = spark.read.parquet("/root/testdata/sf0.1/pages.parquet")
+    want = {r.page_id: r.text for r in html_wrappers.extract(pages).collect()}
+    plain = {r.page_id: r for r in pages.collect()}
+    bare = spark.createDataFrame([(i, r.url, stripped(r.html)) for i, r in plain.items()], "page_id long, url string, html string")
+    got = {r.page_id: r.text for r in html_wrappers.extract(bare).collect()}
+    alone = {i: html_wrappers.main_text(stripped(r.html)) for i, r in plain.items()}
+    hosts = {}
+    for i, r in plain.items():
+        hosts.setdefault(r.url.split("/")[2], []).append(i)
+    sure = [i for ids in hosts.values() if len(ids) >= 8 for i in ids]
+    right = sum(got[i] == want[i] for i in sure)
+    assert right >= 0.98 * len(sure) and sum(alone[i] == want[i] for i in sure) < right  # without the wrapper fewer come out
+    monkeypatch.setattr(html_wrappers, "SHIPPED_BYTES", 0)
+    assert {r.page_id: r.text for r in html_wrappers.extract(bare).collect()} == got
+
+
+def test_constant_slots_go_and_copies_are_no_evidence(spark):
+    page = lambda i, body: f"<html><body><div><h2>Always here</h2><p>Own words {body}, and a few more of them to read.</p><p>More {body}</p><blockquote>Read {i} more</blockquote></div></body></html>"
+    rows = [(i, f"http://a.example/{i}", page(i, f"number {i} " * 9)) for i in range(9)]
+    rows += [(100 + i, f"http://b.example/{i}", page(1, "the same " * 9)) for i in range(9)]  # one text, many addresses
+    deep = "<div>" * 3000 + "<p>deep words</p>" + "</div>" * 3000
+    rows += [(200, "http://c.example/", deep), (201, "http://c.example/", "<p>x</p>" * 30_000), (202, None, "<p>a"), (203, "http://d.example/", "<nav>" * 500 + "menu")]
+    table = spark.createDataFrame([(*r, "t", 1) for r in rows], "page_id long, url string, html string, text string, n_chars int")
+    got = {r.page_id: r.text for r in html_wrappers.extract(table).collect()}
+    assert all("Always here" not in got[i] and "Own words" in got[i] and f"Read {i} more" in got[i] for i in range(9))
+    assert all("Always here" in got[100 + i] for i in range(9))
+    assert got[200] == "deep words" and got[201].count("x") == 30_000 and got[202] == "a" and got[203] == ""
+    assert html_wrappers.extract(table.where("false")).count() == 0
+
+
 def test_wrappers_align_to_optional_and_repeated_groups():
     one, two = (html_wrappers.wrap(html_wrappers.parse(s)) for s in ("<div><h1>A</h1><p>x</p><p>y</p><i>z</i></div>", "<div><h1>B</h1><p>x</p><u>n</u></div>"))
     both = html_wrappers.expression(html_wrappers.align(one, two))
@@ -277,6 +383,39 @@ def test_image_copies(spark):
     assert len(got) == len(images) and all(got[10 + i] == i for i in range(3)) and got[20] == 0 and all(got[i] == i for i in (*range(6), 30, 31, 32))
 
 
+@pytest.mark.parametrize("side", [8, 32])
+def test_edited_and_cropped_copies_share_a_class(spark, side):
+    rng = np.random.default_rng(11)
+    base = rng.normal(size=(100, side, side))
+    for _ in range(2 if side > 8 else 0):
+        base = image_descriptors._box(base)
+    kinds = {"equal": lambda v: v, "noise": lambda v: v + rng.normal(0, 0.05 * v.std(), v.shape), "bright": lambda v: 1.7 * v + 3, "turn": np.rot90, "crop": lambda v: v[side // 8 : side - side // 8, side // 8 : side - side // 8], "box": lambda v: np.where((np.arange(side)[:, None] < side // 4) & (np.arange(side)[None] < side // 4), v.max(), v)}
+    rows = [(i, v.ravel().tolist()) for i, v in enumerate(base)]
+    for k, change in enumerate(kinds.values(), 1):
+        rows += [(1000 * k + i, change(v).ravel().tolist()) for i, v in enumerate(base)]
+    got = {r.image_id: r.class_id for r in image_descriptors.image_copies(spark.createDataFrame(rows, "vec_id long, embedding array<float>")).collect()}
+    for k, name in enumerate(kinds, 1):
+        share = np.mean([got[1000 * k + i] == got[i] for i in range(100)])
+        # six by six pixels of white noise hold few corners; the README has the figure
+        assert share >= (0.75 if side == 8 and name == "crop" else 0.9), (name, share)
+    assert [got[i] for i in range(100)] == list(range(100))  # no two images fall together
+
+
+def test_crowded_buckets_connect_what_all_pairs_do(spark):
+    rng = np.random.default_rng(12)
+    base = rng.normal(size=(5, 8, 8))
+    rows = [(i, (base[i % 5] + rng.normal(0, 0.03, (8, 8))).ravel().tolist()) for i in range(60)]
+    table = image_descriptors.cut(image_descriptors.descriptors(spark.createDataFrame(rows, "img long, pixels array<float>")))
+    groups = []
+    for paired in (2, 10**6):
+        links = [(r.a, r.b) for r in image_descriptors.copy_links(table, paired).collect()]
+        groups.append(linked(range(60), links))
+    assert groups[0] == groups[1] and len(set(groups[0].values())) == 5
+    empty = spark.createDataFrame([(1, [1.0], "x", 2)], "vec_id long, embedding array<float>, class_id string, img int")
+    assert image_descriptors.image_copies(empty.where("false")).count() == 0
+    assert [tuple(r) for r in image_descriptors.image_copies(empty).collect()] == [(1, 1, 0, 0)]
+
+
 def test_pipeline_equals_its_stages_by_hand(spark):
     import corpus_pipeline
 
