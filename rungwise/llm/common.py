@@ -75,6 +75,21 @@ def keyed_join(rows: DataFrame, table: DataFrame, key: str, total: int) -> DataF
     return rows.join(F.broadcast(hot), key).unionByName(cool.join(rest.hint("merge"), key))
 
 
+@contextlib.contextmanager
+def scratch():
+    """Deletes at its end what ``cut`` wrote inside, but for the frames handed to the function it gives."""
+    before, kept = {x[1] for x in _written}, set()
+
+    def keep(df: DataFrame) -> DataFrame:
+        kept.add(getattr(df, "_cut_path", None))
+        return df
+
+    yield keep
+    for spark, path in [x for x in _written if x[1] not in before and x[1] not in kept]:
+        _delete(spark, path)
+        _written[:] = [x for x in _written if x[1] != path]
+
+
 def _delete(spark: SparkSession, path: str) -> None:
     with contextlib.suppress(Exception):
         jvm = spark._jvm

@@ -1,8 +1,8 @@
 """Removal of long passages that repeat across documents, located with sharded Aho-Corasick automata.
 
-Candidates.  A window is ``WINDOW`` consecutive words.  Of the 25-word grams in a window the one with the smallest
+Candidates.  A window is ``WINDOW`` consecutive words.  Of the 12-word grams in a window the one with the smallest
 hash is its anchor; equal windows have equal anchors.  Consecutive windows of a document that share an anchor form
-a run (about 13 windows), and one row per run (anchor, hash of the run's words) is enough to find most repeats: a
+a run (about 20 windows), and one row per run (anchor, hash of the run's words) is enough to find most repeats: a
 run equal to a run of a smaller doc_id repeats as a whole.  Only runs whose anchor occurs with different
 surroundings are resolved window by window.  All counting is by partial aggregates, so copies in any number cost no
 more than their own rows; hot runs and windows are spread over all tasks.
@@ -25,10 +25,10 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, keyed_join, small_batches
+from .common import cut, drop_cut, keyed_join, scratch, small_batches
 
 WINDOW = 50
-GRAM = 25
+GRAM = 12
 #: Bytes of patterns that a shard's automaton holds, about.
 SHARD_BYTES = 2_000_000
 #: Shards whose requests to one document travel in one row.
@@ -150,11 +150,16 @@ def candidates(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     keyed = _keyed(docs)
     runs = cut(keyed.mapInArrow(_run_rows, f"{_KEY}, anchor long, run long, first int, n_win int"))
     total = runs.count()
-    owners = runs.groupBy("anchor", "run").agg(F.min(F.struct("doc_id", "rk", "first")).alias("owner"), F.max("doc_id").alias("last"), F.count("*").alias("rows"))
-    shapes = owners.groupBy("anchor").agg(F.count("*").alias("__n"), F.min("owner.doc_id").alias("low"), F.max("last").alias("high")).where("low < high").select("anchor", "__n", (F.col("__n") > 1).alias("mixed"))
-    # the rest is neither repeated from a smaller id nor able to be
+    # an anchor of one document only can't stand in a repeat
+    shared = runs.groupBy("anchor").agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high"), F.count("*").alias("__n")).where("low < high").select("anchor", "__n")
+    met = cut(keyed_join(runs, shared, "anchor", total))
+    drop_cut(runs)
+    total = met.count()
+    owners = cut(met.groupBy("anchor", "run").agg(F.min(F.struct("doc_id", "rk", "first")).alias("owner"), F.count("*").alias("rows")))
+    shapes = owners.groupBy("anchor").agg(F.count("*").alias("__n"), (F.count("*") > 1).alias("mixed"))
     known = keyed_join(owners, shapes, "anchor", total).select("run", "owner", "mixed", F.col("rows").alias("__n"))
-    told = cut(keyed_join(runs.drop("anchor"), known, "run", total).select("doc_id", "rk", "first", "n_win", "owner", (F.col("owner.doc_id") < F.col("doc_id")).alias("whole"), "mixed"))
+    told = cut(keyed_join(met.drop("anchor"), known, "run", total).select("doc_id", "rk", "first", "n_win", "owner", (F.col("owner.doc_id") < F.col("doc_id")).alias("whole"), "mixed"))
+    drop_cut(met)
     spans = told.groupBy("doc_id", "rk").agg(F.collect_list(F.when(F.col("mixed") & ~F.col("whole"), F.struct("first", "n_win"))).alias("spans"))
     found = cut(keyed.join(spans, ["doc_id", "rk"]).dropDuplicates(["doc_id", "rk"]).select("doc_id", "rk", "text", "spans").mapInArrow(_window_rows, _FOUND))
     # windows of whole runs can be the smallest equals of single ones, but their runs' owners are smaller still
@@ -296,7 +301,8 @@ def remove_repeats(docs: DataFrame, with_text: bool = True) -> DataFrame:
     compared; repeated rows are judged alike; an empty table gives an empty result; other columns are ignored.
     """
     small_batches(docs.sparkSession)
-    lost = cut(changed(docs).select("doc_id", "rk", "n_removed", "kept_sha256", *(["kept_text"] if with_text else [])))
+    with scratch() as keep:
+        lost = keep(cut(changed(docs).select("doc_id", "rk", "n_removed", "kept_sha256", *(["kept_text"] if with_text else []))))
     every = _keyed(docs).mapInArrow(lambda batches: _plain(batches, with_text), f"{_KEY}, n_words long, whole_sha256 string, whole_text string")
     out = every.join(lost, ["doc_id", "rk"], "left")
     text = [F.coalesce("kept_text", "whole_text").alias("kept_text")] if with_text else []

@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, keyed_join, small_batches
+from .common import cut, keyed_join, scratch, small_batches
 from .components import components
 
 #: Two segments of 32 bits: a value of one is shared by chance by one in 4 billion fingerprints.
@@ -133,7 +133,9 @@ def near_duplicates(docs: DataFrame, words_per_shingle: int = 3) -> DataFrame:
     """
     rows = cut(fingerprints(docs, words_per_shingle))
     fps = rows.groupBy("fp").agg(F.min("doc_id").alias("least"), F.count("*").alias("n"))
-    classes = components(links(fps.select("fp"))).select(F.col("node").alias("fp"), F.col("component").alias("class"))
+    with scratch() as keep:
+        found = keep(cut(components(links(fps.select("fp")))))
+    classes = found.select(F.col("node").alias("fp"), F.col("component").alias("class"))
     known = fps.join(classes, "fp", "left").select("fp", "least", "n", F.coalesce("class", "fp").alias("class"))
     least = known.groupBy("class").agg(F.min("least").alias("component_id"))
     total = rows.count()
