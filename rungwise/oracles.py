@@ -126,7 +126,16 @@ ORACLES["ranked_offsets"] = _ranked + "SELECT blk, sub, CAST(len AS BIGINT) AS l
 ORACLES["ranked_rank_select"] = _ranked + "SELECT blk, sub, CAST(before AS BIGINT) AS rank_before, CAST(op AS BIGINT) AS open, CAST(start AS BIGINT) AS payload_start FROM wo"
 ORACLES["ranked_read_cost"] = _ranked + "SELECT CAST(op AS BIGINT) AS open, count(*) AS reads, CAST(max(16 + len) AS BIGINT) AS worst, CAST(sum(16 + len) AS BIGINT) AS bits FROM wd GROUP BY op"
 ORACLES["ranked_errors"] = _ranked + "SELECT count(*) AS blocks, count(*) FILTER (failed) AS failed, CAST(sum(used_bits) AS BIGINT) AS used_bits, CAST(sum(reserved_bits) AS BIGINT) AS reserved_bits FROM rc"
-ORACLES["ranked_read_spans"] = _ranked.rstrip() + ", " + _src + ", mm AS (SELECT n // 1024 * 1024 AS n FROM nn), " + _SPANS.replace(", nn)", ", mm)") + " SELECT req_id, spans.start, spans.len, any_value(substr(s, spans.start + 1, spans.len)) AS value, CAST(sum(16 + wd.len) AS BIGINT) AS probes FROM spans JOIN wd ON cell BETWEEN spans.start // 64 AND (spans.start + spans.len - 1) // 64, src GROUP BY 1, 2, 3"
+_TAIL = "SELECT n // 1024 AS blk, string_agg(ch, '' ORDER BY pos) AS body, false AS failed FROM coded, nn WHERE pos >= n // 1024 * 1024 GROUP BY n"
+ORACLES["ranked_read_spans"] = _ranked.rstrip() + ", " + _src + ", " + _SPANS + """, parts AS (SELECT req_id, sum(16 + wd.len) AS c FROM spans JOIN wd ON cell BETWEEN spans.start // 64 AND (spans.start + spans.len - 1) // 64 GROUP BY 1)
+SELECT req_id, spans.start, spans.len, CASE WHEN NOT EXISTS (SELECT 1 FROM rc WHERE failed AND rc.blk BETWEEN spans.start // 1024 AND (spans.start + spans.len - 1) // 1024) THEN substr(s, spans.start + 1, spans.len) ELSE (SELECT coalesce(string_agg(ch, '' ORDER BY pos), '') FROM coded LEFT JOIN rc ON rc.blk = pos // 1024 WHERE pos >= spans.start AND pos < spans.start + spans.len AND NOT coalesce(failed, false)) END AS value,
+  CAST(coalesce(c, 0) + greatest(spans.start + spans.len - greatest(spans.start, n // 1024 * 1024), 0) AS BIGINT) AS probes FROM spans LEFT JOIN parts USING (req_id), src, nn"""
+ORACLES["ranked_select"] = _ranked + "SELECT blk, CAST(row_number() OVER (PARTITION BY blk ORDER BY sub) AS INTEGER) AS k, CAST(sub AS INTEGER) AS sub FROM wd WHERE op = 1"
+_ranked_edits = f""", ee AS (SELECT k AS edit_id, (k * 7919 + 5) % (n // 1024 * 16) AS t, (k * 6007 + 11) % (n // 1024 * 16) AS s FROM (SELECT unnest(range({N_EDITS})) AS k), nn),
+last_e AS (SELECT t, arg_max(z.body, edit_id) AS nb FROM ee JOIN subs z ON z.cell = s JOIN rc ON rc.blk = z.blk WHERE NOT rc.failed GROUP BY t),
+after AS (SELECT subs.blk, sub, cell, CASE WHEN f.failed THEN body ELSE coalesce(nb, body) END AS body FROM subs JOIN rc f ON f.blk = subs.blk LEFT JOIN last_e ON t = cell)"""
+ORACLES["ranked_update_state"] = _ranked.rstrip() + _ranked_edits + ", " + _set(1, 2, "after", "ra", "cell") + f""", am AS (SELECT ra.blk, count(*) FILTER (NOT settled) > 8 OR sum(CASE WHEN settled THEN w ELSE 64 END) > 8 * 64 + 8 * max(w) AS bad, string_agg(body, '' ORDER BY sub) AS body FROM ra, wb GROUP BY ra.blk)
+SELECT am.blk, CASE WHEN NOT (bad OR rc.failed) THEN body END AS body, bad OR rc.failed AS failed FROM am JOIN rc ON rc.blk = am.blk UNION ALL {_TAIL}"""
 ORACLES["ranked_update_cost"] = _ranked.rstrip() + f""", ee AS (SELECT k AS edit_id, (k * 7919 + 5) % (n // 1024 * 16) AS t, (k * 6007 + 11) % (n // 1024 * 16) AS s FROM (SELECT unnest(range({N_EDITS})) AS k), nn)
 SELECT edit_id, a.blk, a.sub, (CASE WHEN a.settled THEN 'S' ELSE 'O' END) || (CASE WHEN z.settled THEN 'S' ELSE 'O' END) AS "case", CAST(CASE WHEN a.settled = z.settled THEN 16 + 2 * a.len ELSE 32 + 2 * used - a.len + z.len END AS BIGINT) AS bits
 FROM ee JOIN wd a ON a.cell = t JOIN wd z ON z.cell = s JOIN rb ON rb.blk = a.blk"""
@@ -151,3 +160,19 @@ bb AS (SELECT doc_id, blk, substr(t, blk * 256 + 1, CASE WHEN blk = nb - 1 THEN
 ok AS (SELECT doc_id, blk, any_value(length(body)) AS len, bool_and(abs((length(body) - length(replace(body, CAST(code AS VARCHAR), ''))) * n - length(body) * c) * 2 <= length(body) * c) AS s FROM bb, law, nn GROUP BY doc_id, blk),
 kk AS (SELECT CAST(ceil((-sum(CASE WHEN c > 0 THEN CAST(c AS DOUBLE) / n * log2(CAST(c AS DOUBLE) / n) ELSE 0 END) + 0.5) * 256) AS BIGINT) AS k0 FROM law, nn)
 SELECT doc_id, CAST(sum(len) AS BIGINT) AS n, bool_and(s) AS fits, CAST(1 + CASE WHEN bool_and(s) THEN count(*) * max(k0) ELSE sum(len) * 2 END AS BIGINT) AS bits FROM ok, kk GROUP BY doc_id"""
+
+
+def _lz(width: int, table: str = "blk") -> str:
+    """LZ78 bits of every body: a step a symbol, the book of phrases as a list."""
+    return f"""lz AS (SELECT blk, body, 1 AS i, '' AS cur, CAST([] AS VARCHAR[]) AS book, CAST(0 AS BIGINT) AS bits FROM {table}
+  UNION ALL SELECT blk, body, i + 1, CASE WHEN known THEN nxt ELSE '' END, CASE WHEN known THEN book ELSE list_append(book, nxt) END, bits + CASE WHEN known THEN 0 ELSE CAST(ceil(log2(len(book) + 1)) AS BIGINT) + {width} END
+  FROM (SELECT *, cur || substr(body, i, 1) AS nxt, list_contains(book, cur || substr(body, i, 1)) AS known FROM lz WHERE i <= length(body))),
+lzb AS (SELECT blk, length(body) AS n_sym, bits + CASE WHEN cur <> '' THEN CAST(ceil(log2(len(book) + 1)) AS BIGINT) ELSE 0 END AS bits FROM lz WHERE i = length(body) + 1)"""
+
+
+_recursive = lambda *parts: _with(*parts).replace("WITH ", "WITH RECURSIVE ", 1)
+ORACLES["lz78_length"] = _recursive(_sym("li_flag"), _blk(64), _lz(2)) + "SELECT blk, bits FROM lzb"
+ORACLES["spill_probe_levels"] = _recursive(_sym("li_small_qty"), _blk(128), _lz(1), "s0 AS (SELECT blk AS u, bits AS len FROM lzb)", "s1 AS (SELECT u // 8 AS u, sum(greatest(len - 80, 0)) AS len FROM s0 GROUP BY 1)", "s2 AS (SELECT u // 8 AS u, sum(greatest(len - 120, 0)) AS len FROM s1 GROUP BY 1)") + " UNION ALL ".join(f"SELECT CAST({i} AS INTEGER) AS level, count(*) AS units, CAST(sum(least(len, {k})) AS BIGINT) AS kept_bits, CAST(sum(greatest(len - {k}, 0)) AS BIGINT) AS spilled_bits FROM s{i}" for i, k in enumerate((80, 120, 160)))
+ORACLES["addressed_overhead"] = _recursive(_sym("li_small_qty"), _blk(128), _lz(1)) + 'SELECT count(*) AS words, CAST(sum(bits) AS BIGINT) AS bits, CAST(sum(bits) AS BIGINT) AS "end" FROM lzb'
+ORACLES["settled_mass_vs_exact"] = _with(_sym("li_small_qty"), _blk(128), _set(1, 2), "p AS (SELECT c, n, CAST(c AS DOUBLE) / n AS p FROM law, nn WHERE code = 1)", "q AS (SELECT c AS c0 FROM law WHERE code = 0)", "w AS (SELECT w, exp(lgamma(129) - lgamma(w + 1) - lgamma(129 - w) + w * ln(p) + (128 - w) * ln(1 - p)) AS m FROM p, q, range(129) t(w) WHERE abs(w * n - 128 * c) * 2 <= 128 * c AND abs((128 - w) * n - 128 * c0) * 2 <= 128 * c0)") + "SELECT (SELECT count(*) FROM st WHERE n_sym = 128) AS blocks, (SELECT count(*) FROM st WHERE settled AND n_sym = 128) AS settled, min(w) AS low, max(w) AS high, round(sum(m), 6) AS exact FROM w"
+ORACLES["ladder_rate_vs_bound"] = " UNION ALL ".join(f"""SELECT '{p}' AS preset, round(h, 6) AS entropy, round(rate, 6) AS rate, round(h + 0.5 * (2 + log2({k} + 1)), 6) AS bound, rate <= h + 0.5 * (2 + log2({k} + 1)) AS holds FROM ({_with(_sym(src), _widths(b0, k=k))} SELECT max(h) AS h, max(CAST(k0 AS DOUBLE) / {b0} + CASE WHEN n // {b0} // 8 >= 1 THEN CAST(k1 AS DOUBLE) / {8 * b0} ELSE 0 END + CASE WHEN n // {b0} // 8 // 16 >= 1 THEN CAST(k2 AS DOUBLE) / {128 * b0} ELSE 0 END) AS rate FROM kk, nn, (SELECT -sum(CAST(c AS DOUBLE) / n * log2(CAST(c AS DOUBLE) / n)) AS h FROM law, nn))""" for p, src, b0, k in (("demo3", "li_small_qty", 128, 2), ("calm", "li_zero_tax", 256, 2), ("flag3", "li_flag", 32, 3)))

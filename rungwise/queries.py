@@ -378,9 +378,15 @@ def ranked_flags(spark, sf_dir):
     return ranked.words(subs, law, s).select("blk", "sub", "open")
 
 
+def _ranked_store(spark, sf_dir):
+    placed, law, n = positions(spark, sf_dir, "li_small_qty")
+    p = RANKED_DEMO
+    return ranked.store_of(placed, n, law, ranked_schedule(law, p["b0"], p["b1"], p["num"], p["den"], p["open_num"], p["open_den"]))
+
+
 def ranked_lengths(spark, sf_dir):
     subs, law, s, _ = _ranked(spark, sf_dir)
-    return ranked.encode(subs, law, s)
+    return ranked.encode(subs, law, s).withColumn("flags", F.col("flags")[0])
 
 
 def ranked_offsets(spark, sf_dir):
@@ -395,9 +401,26 @@ def ranked_rank_select(spark, sf_dir):
 
 
 def ranked_read_spans(spark, sf_dir):
-    subs, law, s, n = _ranked(spark, sf_dir)
-    total = n // s.b0 * s.b0
-    return ranked.answer(subs, ranked.encode(subs, law, s), spans(spark, total), s, n).select("req_id", "start", "len", "value", "probes")
+    """Spans of the whole sequence, tail included, from the stored words."""
+    store = _ranked_store(spark, sf_dir)
+    return ranked.answer(store, spans(spark, store.n)).select("req_id", "start", "len", "value", "probes")
+
+
+def ranked_select(spark, sf_dir):
+    """Where each block's k-th open sub-block lies."""
+    subs, law, s, _ = _ranked(spark, sf_dir)
+    asked = ranked.encode(subs, law, s).select("blk", "flags", F.explode(F.sequence(F.lit(1), F.lit(s.subs))).alias("k"))
+    return asked.select("blk", "k", ranked.select(F.col("flags"), s, F.col("k")).alias("sub")).where("sub IS NOT NULL")
+
+
+def ranked_update_state(spark, sf_dir):
+    """Every block after edits of sub-blocks, decoded from the updated words."""
+    store = _ranked_store(spark, sf_dir)
+    s, units = store.schedule, store.n // store.schedule.b0 * store.schedule.subs
+    k = spark.range(N_EDITS).select(F.col("id").alias("edit_id"), ((F.col("id") * 7919 + 5) % units).alias("cell"), ((F.col("id") * 6007 + 11) % units).alias("src"))
+    at = lambda c: [F.floor(F.col(c) / s.subs).alias("blk"), (F.col(c) % s.subs).cast("int").alias("sub")]
+    asked = ranked.bodies(store, k.select("edit_id", "cell", *at("src"))).where("body IS NOT NULL").select("edit_id", *at("cell"), "body")
+    return ranked.decode(ranked.update_store(store, asked)).select("blk", "body", "failed")
 
 
 def ranked_read_cost(spark, sf_dir):
@@ -554,7 +577,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
         ladder_level0, ladder_level1, ladder_level2, ladder_home_profile, ladder_trace, ladder_failures, ladder_bit_budget, ladder_rate_vs_bound, ladder_roundtrip, ladder_read_symbols, ladder_read_spans,
         ladder_read_cost_full, ladder_read_cost_header, ladder_read_cost_slot, ladder_read_cost_shared, ladder_read_capped, ladder_update_state, ladder_update_cost, ladder_update_cases, ladder_cost_rollup, top_cost_blocks,
         span_curve, eps_curve, n_curve, settled_mass_vs_exact, lz78_length, lz_settled, universal_ladder_profile, escape_rate, order_k_entropy,
-        ranked_flags, ranked_lengths, ranked_offsets, ranked_rank_select, ranked_read_spans, ranked_read_cost, ranked_update_cost, ranked_errors,
+        ranked_flags, ranked_lengths, ranked_offsets, ranked_rank_select, ranked_read_spans, ranked_select, ranked_update_state, ranked_read_cost, ranked_update_cost, ranked_errors,
         flat_profile, flat_read_update_cost, whole_lz_cost, block_lz_cost, syndrome_store, syndrome_update_bits, spill_probe_levels, addressed_overhead, raw_cost, codec_scoreboard,
         gene_fetch, page_fetch, doc_splice, role_stress, edit_windows_tumbling, edit_windows_sliding, edit_windows_session, edit_asof,
     )

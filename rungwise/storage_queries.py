@@ -10,7 +10,7 @@ from . import oracles as sql
 from .operators import baselines, codeword, dense, escape, ladder, overlap, ranked
 from .operators.blocks import cut_blocks, settled, symbol_count
 from .plans.schedules import ladder_schedule
-from .queries import _blocks, _ranked, _store, edits, spans
+from .queries import _blocks, _ranked_store, _store, edits, spans
 from .sources.catalog import SOURCES, class_text, index_rows, positions, read_table
 
 UNITS = 97
@@ -147,11 +147,8 @@ def prefix_free_check(spark, sf_dir):
 
 
 def ranked_roundtrip(spark, sf_dir):
-    """Whole blocks back from sub-block words; a failed block is marked."""
-    subs, law, s, n = _ranked(spark, sf_dir)
-    blocks = ranked.encode(subs, law, s)
-    asked = blocks.select(F.col("blk").alias("req_id"), (F.col("blk") * s.b0).alias("start"), F.lit(s.b0).cast("long").alias("len"))
-    return ranked.answer(subs, blocks, asked, s, n).select(F.col("req_id").alias("blk"), F.col("value").alias("body"), "failed")
+    """Every block and the tail back from the stored words; a failed block is marked and has no body."""
+    return ranked.decode(_ranked_store(spark, sf_dir))
 
 
 def ladder_codeword_bits(spark, sf_dir):
@@ -204,5 +201,5 @@ priced AS (SELECT level, unnest(['plain', 'radix']) AS variant, unnest([b + 2 *
     "universal_roundtrip": sql._with(sql._sym("li_flag"), sql._blk(64)) + "SELECT blk, body FROM blk",
     "escape_roundtrip": f"SELECT doc_id, md5({sql._CLASS}) AS digest FROM documents WHERE length(text) > 0",
     "prefix_free_check": "SELECT true AS prefix_free",
-    "ranked_roundtrip": sql._ranked + "SELECT blk, string_agg(body, '' ORDER BY sub) AS body, any_value(failed) AS failed FROM subs JOIN rc USING (blk) GROUP BY blk",
+    "ranked_roundtrip": sql._ranked + f"SELECT blk, CASE WHEN NOT any_value(failed) THEN string_agg(body, '' ORDER BY sub) END AS body, any_value(failed) AS failed FROM subs JOIN rc USING (blk) GROUP BY blk UNION ALL {sql._TAIL}",
 }

@@ -156,3 +156,32 @@ def test_dense_positions_over_many_buckets(spark, monkeypatch):
     got = {(r.k, r.j): r.pos for r in catalog.index_rows(spark.createDataFrame(rows, "k long, j long"), ("k", "j")).collect()}
     assert got == {r: i for i, r in enumerate(sorted(rows, key=lambda r: (r[0] is not None, r[0] or 0, r[1])))}
     assert catalog.index_rows(spark.createDataFrame(rows, "k long, j long").where("false"), ("k",)).isEmpty()
+
+
+@pytest.mark.parametrize(("n", "b0", "b1"), [(700, 70, 10), (1003, 200, 10), (4000, 1300, 10), (6, 70, 10)])
+def test_ranked_words_alone_give_back_blocks_spans_and_edits(spark, n, b0, b1):
+    """Round trip, span reads and edits against the text, with a tail, and with over 63 sub-blocks a block."""
+    import random
+
+    rnd = random.Random(n)
+    text = "".join(rnd.choice("0000111" if i // 50 % 4 == 0 else "00001") for i in range(n))
+    placed = spark.createDataFrame(list(enumerate(text)), "pos long, ch string")
+    s = ranked_schedule(LAW, b0, b1, 1, 2, 3, 4)
+    store = ranked.store_of(placed, n, LAW, s)
+    back = {r.blk: r for r in ranked.decode(store).collect()}
+    assert not any(r.failed for r in back.values()) and "".join(back[i].body for i in sorted(back)) == text
+    asked = [(i, rnd.randrange(n), rnd.randrange(1, 90)) for i in range(40)] + [(99, 0, n)]
+    got = {r.req_id: r.value for r in ranked.answer(store, spark.createDataFrame(asked, "req_id long, start long, len long")).collect()}
+    assert all(got[i] == text[a : a + k] for i, a, k in asked)
+    if n >= b0:
+        cells = [rnd.randrange(n // b0 * b0 // b1) for _ in range(12)]
+        made = [(i, c // (b0 // b1), c % (b0 // b1), "".join(rnd.choice("00001") for _ in range(b1))) for i, c in enumerate(cells)]
+        new = text
+        for _, blk, sub, body in made:
+            new = new[: blk * b0 + sub * b1] + body + new[blk * b0 + sub * b1 + b1 :]
+        after = ranked.update_store(store, spark.createDataFrame(made, "edit_id long, blk long, sub int, body string"))
+        assert "".join(r.body for r in sorted(ranked.decode(after).collect())) == new
+        again = ranked.store_of(spark.createDataFrame(list(enumerate(new)), "pos long, ch string"), n, LAW, s)
+        assert sorted(map(str, after.blocks.collect())) == sorted(map(str, again.blocks.collect()))
+        flags = store.blocks.select("blk", "flags").collect()
+        assert sum(bin(f).count("1") for r in flags for f in r.flags) == sum(not 1 <= text[i : i + b1].count("1") <= 3 for i in range(0, n // b0 * b0, b1))
