@@ -182,20 +182,31 @@ def read_spans(store: LadderStore, spans: DataFrame, max_level: int | None = Non
     ``max_level`` blocks that live higher count as failed (the local error of a capped read).  An empty span has an
     empty value and no probes; a span past the end is cut at the end and ``failed``.
     """
-    s, b0 = store.schedule, store.schedule.b0
-    inside = spans.select("req_id", "start", "len", F.least(F.col("len"), F.greatest(F.lit(store.n) - F.col("start"), F.lit(0))).alias("got"))
-    exploded = touched(inside.select("req_id", "start", F.col("got").alias("len")), store.n, b0)
+    s = store.schedule
+    exploded = clipped(spans, store.n, s.b0)
     wanted = exploded.select("blk").distinct()
-    homes = store.state.select("blk", "home")
-    part = store.blocks0.join(wanted, "blk", "left_semi").join(store.open_rows.select("blk", F.col("body").alias("raw")), "blk", "left").join(homes, "blk")
+    part = store.blocks0.join(wanted, "blk", "left_semi").join(store.open_rows.select("blk", F.col("body").alias("raw"), "home"), "blk", "left")
     body = word_decoder(store.law, s)(F.col("word"), F.col("n_sym"))
+    home = F.when(F.col("settled"), F.lit(0)).otherwise(F.col("home"))
+    part = part.select("blk", "n_sym", "settled", home.alias("home"), F.when(F.col("settled"), body).when(F.col("home").isNotNull(), F.col("raw")).alias("body"))
+    return stitched(spans, exploded, part, s, store.n, max_level)
+
+
+def clipped(spans: DataFrame, n: int, b0: int) -> DataFrame:
+    """Spans cut at the end of the sequence, exploded to the blocks they cover."""
+    inside = spans.select("req_id", "start", F.least(F.col("len"), F.greatest(F.lit(n) - F.col("start"), F.lit(0))).alias("len"))
+    return touched(inside, n, b0)
+
+
+def stitched(spans: DataFrame, exploded: DataFrame, blocks: DataFrame, s: LadderSchedule, n: int, max_level: int | None = None) -> DataFrame:
+    """Answers to ``spans`` from the decoded ``blocks(blk, n_sym, home, body)`` that they touch."""
+    b0 = s.b0
     cap = len(s.levels) if max_level is None else max_level
-    part = part.select("blk", "home", F.when(F.col("settled"), body).when(F.col("home") <= cap, F.col("raw")).alias("body"), "n_sym")
-    part = part.withColumn("bad", F.col("body").isNull())
+    part = blocks.select("blk", "n_sym", "home", F.when(F.col("home") <= cap, F.col("body")).alias("body")).withColumn("bad", F.col("body").isNull())
     cost_home = F.least(F.coalesce(F.col("home"), F.lit(len(s.levels))), F.lit(cap))
     joined = exploded.join(part, "blk").withColumn("at", F.greatest(F.col("start") - F.col("blk") * b0, F.lit(0)))
     piece = F.substring(F.coalesce("body", F.repeat(F.lit("?"), F.col("n_sym"))), (F.col("at") + 1).cast("int"), (F.least(F.col("start") + F.col("len"), F.col("blk") * b0 + F.col("n_sym")) - F.greatest(F.col("start"), F.col("blk") * b0)).cast("int"))
-    stitched = joined.groupBy("req_id").agg(
+    found = joined.groupBy("req_id").agg(
         F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("blk", piece.alias("p")))), lambda x: x["p"]), "").alias("value"),
         F.max(F.coalesce(F.col("home"), F.lit(-1))).alias("home_max"),
         F.sum(full_cost(s, cost_home)).alias("probes_full"),
@@ -203,8 +214,8 @@ def read_spans(store: LadderStore, spans: DataFrame, max_level: int | None = Non
         F.sum(slot_cost(s, cost_home)).alias("probes_slot"),
         F.max("bad").alias("bad"),
     )
-    zero = F.lit(0).cast("long")
-    return inside.join(stitched, "req_id", "left").select("req_id", "start", "len", F.coalesce("value", F.lit("")).alias("value"), F.coalesce(F.col("home_max"), F.lit(0)).alias("home_max"), *(F.coalesce(c, zero).alias(c) for c in ("probes_full", "probes_header", "probes_slot")), (F.coalesce("bad", F.lit(False)) | (F.col("got") < F.col("len"))).alias("failed"))
+    zero, got = F.lit(0).cast("long"), F.least(F.col("len"), F.greatest(F.lit(n) - F.col("start"), F.lit(0)))
+    return spans.join(found, "req_id", "left").select("req_id", "start", "len", F.coalesce("value", F.lit("")).alias("value"), F.coalesce(F.col("home_max"), F.lit(0)).alias("home_max"), *(F.coalesce(c, zero).alias(c) for c in ("probes_full", "probes_header", "probes_slot")), (F.coalesce("bad", F.lit(False)) | (got < F.col("len"))).alias("failed"))
 
 
 def shared_cells(store: LadderStore, spans: DataFrame) -> DataFrame:

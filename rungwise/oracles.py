@@ -102,6 +102,7 @@ ORACLES["ladder_read_cost_shared"] = _demo(_widths(128), _SPANS, _touch(128)) +
 ORACLES["ladder_read_cost_shared"] = ORACLES["ladder_read_cost_shared"].replace("\n, cells AS", ", cells AS")
 ORACLES["ladder_read_capped"] = _demo(_widths(64), b0=64) + f"SELECT CAST(cap AS INTEGER) AS cap, count(*) AS blocks, count(*) FILTER (coalesce(home, 9) > cap) AS lost, CAST(sum({_FULL.format(h='least(coalesce(home, 9), cap)')}) AS BIGINT) AS probes FROM home, kk, (SELECT unnest([0, 1, 2]) AS cap) GROUP BY cap"
 ORACLES["ladder_update_state"] = _with(_sym("li_small_qty"), _blk(64), _edits(64), "last_ed AS (SELECT blk, arg_max(body, edit_id) AS nb FROM ed GROUP BY blk)", "after AS (SELECT blk, n_sym, coalesce(nb, body) AS body FROM blk LEFT JOIN last_ed USING (blk))", _set(1, 2, "after"), _levels(64)) + "SELECT blk, body, settled, CAST(coalesce(home, -1) AS INTEGER) AS home FROM home"
+ORACLES["stored_update_state"] = ORACLES["ladder_update_state"]
 _cost = _demo(_widths(128), _edits(128), _set(1, 2, "ed", "es", "edit_id").replace("FROM ed, law", "FROM ed, law"), f"""c1 AS (SELECT e.edit_id, h.blk, h.settled AS so, e.settled AS sn, h.home, o1, n1, s1, o2, n2, s2, CAST(h.settled AS INT) - CAST(e.settled AS INT) AS d1 FROM es e JOIN home h USING (blk)),
 c2 AS (SELECT *, o1 + d1 <= n1 * 1 // 4 AS t1 FROM c1), c3 AS (SELECT *, o2 + CAST(s1 AS INT) - CAST(t1 AS INT) <= n2 * 1 // 8 AS t2 FROM c2),
 c4 AS (SELECT *, CASE WHEN sn THEN 0 WHEN t1 THEN 1 WHEN t2 THEN 2 END AS nh, (CASE WHEN so THEN 'S' ELSE 'O' END) || (CASE WHEN sn THEN 'S' ELSE 'O' END) AS kind FROM c3),

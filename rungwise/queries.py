@@ -12,10 +12,13 @@ from .operators import baselines, ladder, ranked
 from .operators.blocks import cut_blocks, cut_text, group_number, settled, symbol_count
 from .plans import bounds
 from .plans.schedules import PRESETS, RANKED_DEMO, LadderSchedule, Law, ladder_schedule, ranked_schedule
+from .sources import ladder_store
 from .sources.catalog import SOURCES, class_text, index_rows, law_of, positions, read_table, symbol_column
+from .sources.shared import fresh_folder
 
 LAW_SOURCES = ("li_flag", "li_status", "li_small_qty", "li_zero_tax", "od_status", "od_prio", "ev_type", "dc_lang", "lb_quality", "lb_toxic", "cv_role")
 N_SPANS, N_EDITS = 200, 100
+STRETCH = 4096
 
 
 def _blocks(spark: SparkSession, sf_dir: str, preset: str, **more) -> tuple[DataFrame, Law, LadderSchedule, int]:
@@ -33,6 +36,17 @@ def _store(spark: SparkSession, sf_dir: str, preset: str = "demo3", words: bool
     return ladder.encode(blocks, law, s, n, words)
 
 
+_saved: dict[tuple[str, str, str], ladder_store.SavedStore] = {}
+
+
+def _saved_store(spark: SparkSession, sf_dir: str, preset: str = "demo3") -> ladder_store.SavedStore:
+    """The preset's store in the session's shared folder, written at its first use."""
+    key = (spark.sparkContext.applicationId, sf_dir, preset)
+    if key not in _saved:
+        _saved[key] = ladder_store.save(_store(spark, sf_dir, preset, words=True), fresh_folder(spark, "store"))
+    return _saved[key]
+
+
 def spans(spark: SparkSession, n: int, count: int = N_SPANS) -> DataFrame:
     start = (F.col("id") * 7919 + 13) % n
     return spark.range(count).select(F.col("id").alias("req_id"), start.alias("start"), F.least(F.col("id") * 104729 % 97 + 1, F.lit(n) - start).alias("len"))
@@ -194,25 +208,36 @@ def ladder_rate_vs_bound(spark, sf_dir):
 
 
 def ladder_roundtrip(spark, sf_dir):
-    return ladder.decode(_store(spark, sf_dir, words=True)).select("blk", "body", "failed")
+    """Every block back from the saved store."""
+    st = _saved_store(spark, sf_dir)
+    return ladder_store.decoded(st, st.table("blocks")).select("blk", "body", F.col("home").isNull().alias("failed"))
 
 
 def ladder_read_symbols(spark, sf_dir):
-    st = _store(spark, sf_dir, words=True)
+    st = _saved_store(spark, sf_dir)
     one = spans(spark, st.n).withColumn("len", F.lit(1).cast("long"))
-    return ladder.read_spans(st, one).select("req_id", "start", "value")
+    return ladder_store.read_spans(st, one).select("req_id", "start", "value")
 
 
 def ladder_read_spans(spark, sf_dir):
-    st = _store(spark, sf_dir, words=True)
-    return ladder.read_spans(st, spans(spark, st.n)).select("req_id", "start", "len", "value")
+    st = _saved_store(spark, sf_dir)
+    return ladder_store.read_spans(st, spans(spark, st.n)).select("req_id", "start", "len", "value")
+
+
+def stored_update_state(spark, sf_dir):
+    """Blocks of a saved store after a batch of edits that overwrote its touched parts."""
+    blocks, law, s, n = _blocks(spark, sf_dir, "deep3")
+    st = ladder_store.save(ladder.encode(blocks, law, s, n), fresh_folder(spark, "edited"))
+    ladder_store.update(st, edits(blocks, n // s.b0, s.b0))
+    return ladder_store.decoded(st, st.table("blocks")).select("blk", F.coalesce("body", "raw").alias("body"), "settled", F.coalesce("home", F.lit(-1)).alias("home"))
 
 
 def _cost(spark, sf_dir, column):
-    st = _store(spark, sf_dir)
+    st = _saved_store(spark, sf_dir)
     s = st.schedule
     cost = {"full": ladder.full_cost, "header": ladder.header_cost, "slot": ladder.slot_cost}[column](s, F.col("home"))
-    at = ladder.touched(spans(spark, st.n), st.n, s.b0).join(st.state.select("blk", "home"), "blk")
+    asked = ladder.touched(spans(spark, st.n), st.n, s.b0)
+    at = asked.join(st.blocks_at(asked).select("blk", "home"), "blk")
     return at.groupBy("req_id").agg(F.sum(cost).alias("probes"), F.max(F.coalesce("home", F.lit(-1))).alias("home_max"))
 
 
@@ -269,14 +294,20 @@ def top_cost_blocks(spark, sf_dir):
 
 
 def span_curve(spark, sf_dir):
-    """Sum and greatest probes over all block-aligned starts, for spans of 1, 2, 4 ... blocks."""
-    st = _store(spark, sf_dir)
-    s, units = st.schedule, max(st.n // st.schedule.b0, 1)
-    costs = st.state.select("blk", ladder.full_cost(s, F.col("home")).alias("c"))
-    lengths = spark.createDataFrame([(1 << i,) for i in range(6)], "m long")
-    starts = costs.select(F.col("blk").alias("first")).join(F.broadcast(lengths)).where(F.col("first") + F.col("m") <= units)
-    cells = starts.select("m", "first", F.explode(F.sequence("first", F.col("first") + F.col("m") - 1)).alias("blk"))
-    per = cells.join(costs, "blk").groupBy("m", "first").agg(F.sum("c").alias("c"))
+    """Sum and greatest probes over all block-aligned starts, for spans of 1, 2, 4 ... blocks, by sums over stretches of blocks.
+
+    A stretch holds ``STRETCH`` starts and the blocks that their spans reach beyond it, so no window sees the whole table.
+    """
+    st = _saved_store(spark, sf_dir)
+    s, units, most = st.schedule, max(st.n // st.schedule.b0, 1), 32
+    costs = st.table("blocks").select("blk", ladder.full_cost(s, F.col("home")).alias("c"))
+    own = F.floor(F.col("blk") / STRETCH)
+    dealt = costs.select("*", F.explode(F.array_distinct(F.array(own, F.floor(F.greatest(F.col("blk") - most + 1, F.lit(0)) / STRETCH)))).alias("stretch"))
+    per = None
+    for m in (1 << i for i in range(6)):
+        ahead = Window.partitionBy("stretch").orderBy("blk").rowsBetween(0, m - 1)
+        one = dealt.select(F.lit(m).cast("long").alias("m"), F.col("blk").alias("first"), "stretch", F.sum("c").over(ahead).alias("c")).where((F.floor(F.col("first") / STRETCH) == F.col("stretch")) & (F.col("first") + m <= units))
+        per = one if per is None else per.unionByName(one)
     return per.groupBy((F.col("m") * s.b0).alias("span")).agg(F.count("*").alias("starts"), F.sum("c").alias("sum_probes"), F.max("c").alias("max_probes"))
 
 
@@ -575,7 +606,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     for f in (
         alphabet_law, source_entropy, dyadic_report, dense_positions, block_cut, block_cut_text, block_histogram, block_settled, typical_set_size, type_index_b16, type_unindex_b16,
         ladder_level0, ladder_level1, ladder_level2, ladder_home_profile, ladder_trace, ladder_failures, ladder_bit_budget, ladder_rate_vs_bound, ladder_roundtrip, ladder_read_symbols, ladder_read_spans,
-        ladder_read_cost_full, ladder_read_cost_header, ladder_read_cost_slot, ladder_read_cost_shared, ladder_read_capped, ladder_update_state, ladder_update_cost, ladder_update_cases, ladder_cost_rollup, top_cost_blocks,
+        ladder_read_cost_full, ladder_read_cost_header, ladder_read_cost_slot, ladder_read_cost_shared, ladder_read_capped, ladder_update_state, stored_update_state, ladder_update_cost, ladder_update_cases, ladder_cost_rollup, top_cost_blocks,
         span_curve, eps_curve, n_curve, settled_mass_vs_exact, lz78_length, lz_settled, universal_ladder_profile, escape_rate, order_k_entropy,
         ranked_flags, ranked_lengths, ranked_offsets, ranked_rank_select, ranked_read_spans, ranked_select, ranked_update_state, ranked_read_cost, ranked_update_cost, ranked_errors,
         flat_profile, flat_read_update_cost, whole_lz_cost, block_lz_cost, syndrome_store, syndrome_update_bits, spill_probe_levels, addressed_overhead, raw_cost, codec_scoreboard,
@@ -586,5 +617,5 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Encode the skewed binary source and read a grid of spans from the store."""
-    st = _store(spark, sf_dir, words=True)
-    return ladder.read_spans(st, spans(spark, st.n)).select("req_id", "start", "len", "value", "home_max", "probes_full", "probes_slot")
+    st = _saved_store(spark, sf_dir)
+    return ladder_store.read_spans(st, spans(spark, st.n)).select("req_id", "start", "len", "value", "home_max", "probes_full", "probes_slot")
