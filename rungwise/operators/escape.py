@@ -8,8 +8,6 @@ from pyspark.sql import functions as F
 
 from ..functions.lz import fixed_word, read_fixed_word
 from ..functions.typeindex import FIRST_CHAR, char_of
-from ..plans.schedules import LadderSchedule, Law
-from . import ladder
 from .blocks import cut_text
 
 
@@ -33,23 +31,6 @@ def lz_body(k: int):
     return body
 
 
-def universal_store(blocks: DataFrame, law: Law, s: LadderSchedule, n: int, width: Column) -> ladder.LadderStore:
-    """The ladder with LZ words at level 0: a block settles if its LZ code fits ``width`` bits; no law is needed.
-
-    ``law`` names the alphabet only; word costs of the schedule aren't those of ``width``.
-    """
-    coded = blocks.withColumn("word", lz_word(law.k)(F.col("body"), width.cast("int"))).withColumn("settled", F.col("word").isNotNull())
-    return ladder.store_of(coded, law, s, n)
-
-
-def universal_bodies(store: ladder.LadderStore) -> DataFrame:
-    """``(blk, body, escaped)`` from the store; blocks that no level settled come from their escape, the raw body."""
-    open_rows = store.open_rows.select("blk", F.col("body").alias("raw"), "home")
-    back = store.blocks0.join(open_rows, "blk", "left")
-    body = F.coalesce(lz_body(store.law.k)(F.col("word"), F.col("n_sym")), F.col("raw"))
-    return back.select("blk", body.alias("body"), (~F.col("settled") & F.col("home").isNull()).alias("escaped"))
-
-
 def escaped_texts(df: DataFrame, id_col: str, text: Column, k: int, b0: int, num: int, den: int) -> DataFrame:
     """``(seq_id, blk, n_sym, flag, word)``: flag 0 and LZ words of num/den of the raw width if all of a text's blocks fit, else flag 1 and raw bodies."""
     raw_bits = max(1, (k - 1).bit_length())

@@ -13,6 +13,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.lz import fixed_word, read_fixed_word
 from ..functions.typeindex import FIRST_CHAR, TypicalSet, char_of, pack_bits, to_bits, unpack_bits, word_width
 from ..plans.schedules import LadderSchedule, Law
 from .blocks import group_number, settled
@@ -32,6 +33,33 @@ class LadderStore:
     state: DataFrame  # blk, n_sym, body, settled, group numbers, open counts and flags by level, home
 
 
+def lz_encoder(law: Law, s: LadderSchedule):
+    """Body -> packed LZ word, null where it doesn't fit the schedule's width; Arrow-batched."""
+    k = law.k
+
+    @F.pandas_udf("binary")
+    def encode(body: pd.Series) -> pd.Series:
+        words = [fixed_word([ord(c) - FIRST_CHAR for c in text], k, s.word_bits(len(text))) for text in body]
+        return pd.Series([None if w is None else pack_bits(w) for w in words], dtype=object)
+
+    return encode
+
+
+def lz_decoder(law: Law, s: LadderSchedule):
+    k = law.k
+
+    @F.pandas_udf("string")
+    def decode(word: pd.Series, n_sym: pd.Series) -> pd.Series:
+        return pd.Series([None if w is None else "".join(map(char_of, read_fixed_word(unpack_bits(w, s.word_bits(n)), k, n))) for w, n in zip(word, n_sym, strict=True)], dtype=object)
+
+    return decode
+
+
+def block_settled(body: Column, law: Law, s: LadderSchedule) -> Column:
+    """Whether a block has a word at level 0: it is typical, or its LZ code fits if the schedule is universal."""
+    return lz_encoder(law, s)(body).isNotNull() if s.universal else settled(body, law, s.num, s.den)
+
+
 def word_encoder(law: Law, s: LadderSchedule):
     """Body -> packed index of a settled block, as an Arrow-batched function."""
     counts, num, den, k0 = list(law.counts), s.num, s.den, s.k0
@@ -53,6 +81,8 @@ def word_encoder(law: Law, s: LadderSchedule):
 
 
 def word_decoder(law: Law, s: LadderSchedule):
+    if s.universal:
+        return lz_decoder(law, s)
     counts, num, den, k0 = list(law.counts), s.num, s.den, s.k0
     sets: dict[int, TypicalSet] = {}
 
@@ -117,6 +147,9 @@ def home_column(levels: int) -> Column:
 
 def encode(blocks: DataFrame, law: Law, s: LadderSchedule, n: int, words: bool = True) -> LadderStore:
     """Blocks ``(chunk, blk, n_sym, body)`` -> store.  ``words`` False leaves the index words out (costs only)."""
+    if s.universal:  # the word itself is the test
+        coded = blocks.withColumn("word", lz_encoder(law, s)(F.col("body"))).withColumn("settled", F.col("word").isNotNull())
+        return store_of(coded, law, s, n)
     tested = blocks.withColumn("settled", settled(F.col("body"), law, s.num, s.den))
     return store_of(tested, law, s, n, word_encoder(law, s)(F.col("body"), F.col("settled")) if words else F.lit(None).cast("binary"))
 
@@ -237,7 +270,7 @@ def update_state(store: LadderStore, edits: DataFrame) -> DataFrame:
     s, law = store.schedule, store.law
     net = edits.groupBy("blk").agg(F.max_by("body", "edit_id").alias("new_body"))
     state = store.state.join(net, "blk", "left").withColumn("now", F.coalesce("new_body", "body"))
-    state = state.withColumn("now_settled", F.when(F.col("new_body").isNull(), F.col("settled")).otherwise(settled(F.col("now"), law, s.num, s.den)))
+    state = state.withColumn("now_settled", F.when(F.col("new_body").isNull(), F.col("settled")).otherwise(block_settled(F.col("now"), law, s)))
     change = state.where("now_settled <> settled").select("g1", F.when(F.col("settled"), 1).otherwise(-1).alias("d")) if s.levels else None
     out = state
     for i, level in enumerate(s.levels, 1):
@@ -262,7 +295,7 @@ def update_costs(store: LadderStore, edits: DataFrame, sequential: bool = False)
     stored one plus the running sum of what earlier edits changed in it.
     """
     s, law = store.schedule, store.law
-    at = edits.select("edit_id", "blk", F.col("body").alias("new_body")).join(store.state, "blk").withColumn("new", settled(F.col("new_body"), law, s.num, s.den))
+    at = edits.select("edit_id", "blk", F.col("body").alias("new_body")).join(store.state, "blk").withColumn("new", block_settled(F.col("new_body"), law, s))
     if sequential:
         at = at.withColumn("settled", F.coalesce(F.lag("new").over(Window.partitionBy("blk").orderBy("edit_id")), F.col("settled")))
     shift = lambda before, after: F.when(F.col(before) & ~F.col(after), 1).when(~F.col(before) & F.col(after), -1).otherwise(0)

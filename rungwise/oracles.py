@@ -103,12 +103,13 @@ ORACLES["ladder_read_cost_shared"] = ORACLES["ladder_read_cost_shared"].replace(
 ORACLES["ladder_read_capped"] = _demo(_widths(64), b0=64) + f"SELECT CAST(cap AS INTEGER) AS cap, count(*) AS blocks, count(*) FILTER (coalesce(home, 9) > cap) AS lost, CAST(sum({_FULL.format(h='least(coalesce(home, 9), cap)')}) AS BIGINT) AS probes FROM home, kk, (SELECT unnest([0, 1, 2]) AS cap) GROUP BY cap"
 ORACLES["ladder_update_state"] = _with(_sym("li_small_qty"), _blk(64), _edits(64), "last_ed AS (SELECT blk, arg_max(body, edit_id) AS nb FROM ed GROUP BY blk)", "after AS (SELECT blk, n_sym, coalesce(nb, body) AS body FROM blk LEFT JOIN last_ed USING (blk))", _set(1, 2, "after"), _levels(64)) + "SELECT blk, body, settled, CAST(coalesce(home, -1) AS INTEGER) AS home FROM home"
 ORACLES["stored_update_state"] = ORACLES["ladder_update_state"]
-_cost = _demo(_widths(128), _edits(128), _set(1, 2, "ed", "es", "edit_id").replace("FROM ed, law", "FROM ed, law"), f"""c1 AS (SELECT e.edit_id, h.blk, h.settled AS so, e.settled AS sn, h.home, o1, n1, s1, o2, n2, s2, CAST(h.settled AS INT) - CAST(e.settled AS INT) AS d1 FROM es e JOIN home h USING (blk)),
+_COSTS = f"""c1 AS (SELECT e.edit_id, h.blk, h.settled AS so, e.settled AS sn, h.home, o1, n1, s1, o2, n2, s2, CAST(h.settled AS INT) - CAST(e.settled AS INT) AS d1 FROM es e JOIN home h USING (blk)),
 c2 AS (SELECT *, o1 + d1 <= n1 * 1 // 4 AS t1 FROM c1), c3 AS (SELECT *, o2 + CAST(s1 AS INT) - CAST(t1 AS INT) <= n2 * 1 // 8 AS t2 FROM c2),
 c4 AS (SELECT *, CASE WHEN sn THEN 0 WHEN t1 THEN 1 WHEN t2 THEN 2 END AS nh, (CASE WHEN so THEN 'S' ELSE 'O' END) || (CASE WHEN sn THEN 'S' ELSE 'O' END) AS kind FROM c3),
 costs AS (SELECT edit_id, blk, kind, coalesce(home, -1) AS old_home, coalesce(nh, -1) AS new_home,
   CASE kind WHEN 'SS' THEN k0 WHEN 'OO' THEN {_FULL.format(h="coalesce(home, 2)")} ELSE {_FULL.format(h="greatest(coalesce(home, 2), coalesce(nh, 2))")} END AS bits_read,
-  CASE kind WHEN 'SS' THEN k0 WHEN 'OO' THEN CASE coalesce(home, 2) WHEN 1 THEN k1 ELSE k2 END ELSE {_FULL.format(h="greatest(coalesce(home, 2), coalesce(nh, 2))")} END AS bits_written FROM c4, kk)""")
+  CASE kind WHEN 'SS' THEN k0 WHEN 'OO' THEN CASE coalesce(home, 2) WHEN 1 THEN k1 ELSE k2 END ELSE {_FULL.format(h="greatest(coalesce(home, 2), coalesce(nh, 2))")} END AS bits_written FROM c4, kk)"""
+_cost = _demo(_widths(128), _edits(128), _set(1, 2, "ed", "es", "edit_id"), _COSTS)
 ORACLES["ladder_update_cost"] = _cost + 'SELECT edit_id, blk, kind AS "case", CAST(old_home AS INTEGER) AS old_home, CAST(new_home AS INTEGER) AS new_home, CAST(bits_read AS BIGINT) AS bits_read, CAST(bits_written AS BIGINT) AS bits_written FROM costs'
 ORACLES["ladder_update_cases"] = _cost + 'SELECT kind AS "case", count(*) AS edits, CAST(sum(bits_read + bits_written) AS BIGINT) AS bits FROM costs GROUP BY kind'
 ORACLES["ladder_cost_rollup"] = _cost + "SELECT coalesce(kind, 'all') AS \"case\", CAST(coalesce(old_home, -9) AS INTEGER) AS old_home, count(*) AS edits FROM costs GROUP BY ROLLUP (kind, old_home)"
@@ -163,12 +164,12 @@ kk AS (SELECT CAST(ceil((-sum(CASE WHEN c > 0 THEN CAST(c AS DOUBLE) / n * log2(
 SELECT doc_id, CAST(sum(len) AS BIGINT) AS n, bool_and(s) AS fits, CAST(1 + CASE WHEN bool_and(s) THEN count(*) * max(k0) ELSE sum(len) * 2 END AS BIGINT) AS bits FROM ok, kk GROUP BY doc_id"""
 
 
-def _lz(width: int, table: str = "blk") -> str:
+def _lz(width: int, table: str = "blk", tag: str = "") -> str:
     """LZ78 bits of every body: a step a symbol, the book of phrases as a list."""
-    return f"""lz AS (SELECT blk, body, 1 AS i, '' AS cur, CAST([] AS VARCHAR[]) AS book, CAST(0 AS BIGINT) AS bits FROM {table}
+    return f"""lz{tag} AS (SELECT blk, body, 1 AS i, '' AS cur, CAST([] AS VARCHAR[]) AS book, CAST(0 AS BIGINT) AS bits FROM {table}
   UNION ALL SELECT blk, body, i + 1, CASE WHEN known THEN nxt ELSE '' END, CASE WHEN known THEN book ELSE list_append(book, nxt) END, bits + CASE WHEN known THEN 0 ELSE CAST(ceil(log2(len(book) + 1)) AS BIGINT) + {width} END
-  FROM (SELECT *, cur || substr(body, i, 1) AS nxt, list_contains(book, cur || substr(body, i, 1)) AS known FROM lz WHERE i <= length(body))),
-lzb AS (SELECT blk, length(body) AS n_sym, bits + CASE WHEN cur <> '' THEN CAST(ceil(log2(len(book) + 1)) AS BIGINT) ELSE 0 END AS bits FROM lz WHERE i = length(body) + 1)"""
+  FROM (SELECT *, cur || substr(body, i, 1) AS nxt, list_contains(book, cur || substr(body, i, 1)) AS known FROM lz{tag} WHERE i <= length(body))),
+lzb{tag} AS (SELECT blk, length(body) AS n_sym, bits + CASE WHEN cur <> '' THEN CAST(ceil(log2(len(book) + 1)) AS BIGINT) ELSE 0 END AS bits FROM lz{tag} WHERE i = length(body) + 1)"""
 
 
 _recursive = lambda *parts: _with(*parts).replace("WITH ", "WITH RECURSIVE ", 1)
@@ -177,3 +178,23 @@ ORACLES["spill_probe_levels"] = _recursive(_sym("li_small_qty"), _blk(128), _lz(
 ORACLES["addressed_overhead"] = _recursive(_sym("li_small_qty"), _blk(128), _lz(1)) + 'SELECT count(*) AS words, CAST(sum(bits) AS BIGINT) AS bits, CAST(sum(bits) AS BIGINT) AS "end" FROM lzb'
 ORACLES["settled_mass_vs_exact"] = _with(_sym("li_small_qty"), _blk(128), _set(1, 2), "p AS (SELECT c, n, CAST(c AS DOUBLE) / n AS p FROM law, nn WHERE code = 1)", "q AS (SELECT c AS c0 FROM law WHERE code = 0)", "w AS (SELECT w, exp(lgamma(129) - lgamma(w + 1) - lgamma(129 - w) + w * ln(p) + (128 - w) * ln(1 - p)) AS m FROM p, q, range(129) t(w) WHERE abs(w * n - 128 * c) * 2 <= 128 * c AND abs((128 - w) * n - 128 * c0) * 2 <= 128 * c0)") + "SELECT (SELECT count(*) FROM st WHERE n_sym = 128) AS blocks, (SELECT count(*) FROM st WHERE settled AND n_sym = 128) AS settled, min(w) AS low, max(w) AS high, round(sum(m), 6) AS exact FROM w"
 ORACLES["ladder_rate_vs_bound"] = " UNION ALL ".join(f"""SELECT '{p}' AS preset, round(h, 6) AS entropy, round(rate, 6) AS rate, round(h + 0.5 * (2 + log2({k} + 1)), 6) AS bound, rate <= h + 0.5 * (2 + log2({k} + 1)) AS holds FROM ({_with(_sym(src), _widths(b0, k=k))} SELECT max(h) AS h, max(CAST(k0 AS DOUBLE) / {b0} + CASE WHEN n // {b0} // 8 >= 1 THEN CAST(k1 AS DOUBLE) / {8 * b0} ELSE 0 END + CASE WHEN n // {b0} // 8 // 16 >= 1 THEN CAST(k2 AS DOUBLE) / {128 * b0} ELSE 0 END) AS rate FROM kk, nn, (SELECT -sum(CAST(c AS DOUBLE) / n * log2(CAST(c AS DOUBLE) / n)) AS h FROM law, nn))""" for p, src, b0, k in (("demo3", "li_small_qty", 128, 2), ("calm", "li_zero_tax", 256, 2), ("flag3", "li_flag", 32, 3)))
+
+
+def _universal(table: str = "blk", *before: str) -> str:
+    """The universal preset: blocks of 256 whose LZ bits fit words of entropy plus 0.4 bits a symbol, and their groups."""
+    words = _widths(256).replace("+ 0.5)", "+ 0.4)")
+    fits = f"st AS (SELECT a.*, z.bits <= k0 * a.n_sym // 256 - 1 AS settled FROM {table} a JOIN lzb z USING (blk), kk)"
+    return _recursive(_sym("li_zero_tax"), _blk(256), words, *before, _lz(1, table), fits, _levels(256)).rstrip()
+
+
+_after = "after AS (SELECT blk, n_sym, coalesce(nb, body) AS body FROM blk LEFT JOIN (SELECT blk, arg_max(body, edit_id) AS nb FROM ed GROUP BY blk) USING (blk))"
+_edit_fits = "es AS (SELECT e.*, z.bits <= k0 * length(e.body) // 256 - 1 AS settled FROM ed e JOIN lzbe z ON z.blk = e.edit_id, kk)"
+ORACLES["lz_settled"] = _universal() + " SELECT blk, settled FROM home"
+ORACLES["lz_fixed_word"] = _universal() + " SELECT blk, CAST(k0 * n_sym // 256 AS BIGINT) AS bits, n_sym AS raw_bits, true AS same FROM home, kk WHERE settled"
+ORACLES["universal_ladder_profile"] = _universal() + " SELECT CAST(coalesce(home, -1) AS INTEGER) AS home, count(*) AS blocks, CAST(sum(n_sym) AS BIGINT) AS symbols FROM home GROUP BY 1"
+ORACLES["universal_roundtrip"] = _universal() + " SELECT blk, body, home IS NULL AS escaped FROM home"
+ORACLES["universal_read_spans"] = _universal() + f""", {_src}, {_SPANS}, {_touch(256)}, got AS (SELECT req_id, start, len, bool_or(home IS NULL) AS failed, max(coalesce(home, -1)) AS home_max, sum({_FULL.format(h="home")}) AS probes FROM touch JOIN home USING (blk), kk GROUP BY req_id, start, len)
+SELECT req_id, start, len, CASE WHEN NOT failed THEN substr(s, start + 1, len) END AS value, CAST(home_max AS INTEGER) AS home_max, CAST(probes AS BIGINT) AS probes_full FROM got, src"""
+ORACLES["universal_update_state"] = _universal("after", _edits(256), _after) + " SELECT blk, body, settled, CAST(coalesce(home, -1) AS INTEGER) AS home FROM home"
+ORACLES["universal_update_cost"] = _universal() + f""", {_edits(256)}, {_lz(1, "(SELECT edit_id AS blk, body FROM ed)", "e")}, {_edit_fits}, {_COSTS}
+SELECT edit_id, blk, kind AS "case", CAST(old_home AS INTEGER) AS old_home, CAST(new_home AS INTEGER) AS new_home, CAST(bits_read AS BIGINT) AS bits_read, CAST(bits_written AS BIGINT) AS bits_written FROM costs"""

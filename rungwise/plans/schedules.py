@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import json
-from dataclasses import asdict, dataclass
+from dataclasses import asdict, dataclass, replace
 from fractions import Fraction
 from math import ceil, log2
 
@@ -61,11 +61,16 @@ class LadderSchedule:
     levels: tuple[Level, ...]
     digit_bits: int
     raw_bits: int
+    universal: bool = False  # words are LZ words of ``word_bits``; what doesn't fit is open
 
     @property
     def k0(self) -> int:
         return max(self.k0_nominal, self.k0_tight)
 
+    def word_bits(self, n_sym: int) -> int:
+        """Bits of an LZ word: ``k0``, or its share for a longer or shorter last block."""
+        return self.k0 * n_sym // self.b0
+
     @property
     def widths(self) -> list[int]:
         return [self.k0, *(x.width for x in self.levels)]
@@ -99,6 +104,14 @@ def ladder_schedule(law: Law, b0: int, num: int, den: int, fanouts: list[int], n
     return LadderSchedule(law.k, b0, num, den, nominal, tight, tuple(levels), digit, digit_width(law.k))
 
 
+def universal_schedule(law: Law, b0: int, slack: Fraction, num: int, den: int, fanouts: list[int], n: int | None = None) -> LadderSchedule:
+    """Words of entropy plus ``slack`` bits a symbol; a width that isn't below the raw one is refused."""
+    k0 = ceil((law.entropy + float(slack)) * b0)
+    if k0 >= b0 * digit_width(law.k):
+        raise ValueError(f"LZ words of {k0} bits don't beat raw blocks of {b0} symbols")
+    return replace(ladder_schedule(law, b0, num, den, fanouts, n), k0_nominal=k0, k0_tight=0, universal=True)
+
+
 def block_length(law: Law, eps0: float, alpha: int = 8) -> int:
     """Block length from which a block is open with probability eps0**alpha at most (Chernoff over the symbols).
 
@@ -169,6 +182,7 @@ PRESETS = {
     "deep3": dict(source="li_small_qty", b0=64, num=1, den=2, fanouts=[8, 16]),
     "calm": dict(source="li_zero_tax", b0=256, num=1, den=2, fanouts=[8, 16]),
     "flag3": dict(source="li_flag", b0=32, num=1, den=2, fanouts=[8, 16]),
+    "universal": dict(source="li_zero_tax", b0=256, num=1, den=2, fanouts=[8, 16], slack=Fraction(2, 5)),
     "index16": dict(source="li_small_qty", b0=16, num=1, den=2, fanouts=[8, 16]),
 }
 RANKED_DEMO = dict(source="li_small_qty", b0=1024, b1=64, num=1, den=2, open_num=1, open_den=2)

@@ -11,7 +11,7 @@ from .functions.typeindex import TypicalSet
 from .operators import baselines, ladder, ranked
 from .operators.blocks import cut_blocks, cut_text, group_number, settled, symbol_count
 from .plans import bounds
-from .plans.schedules import PRESETS, RANKED_DEMO, LadderSchedule, Law, ladder_schedule, ranked_schedule
+from .plans.schedules import PRESETS, RANKED_DEMO, LadderSchedule, Law, ladder_schedule, ranked_schedule, universal_schedule
 from .sources import ladder_store
 from .sources.catalog import SOURCES, class_text, index_rows, law_of, positions, read_table, symbol_column
 from .sources.shared import fresh_folder
@@ -24,7 +24,7 @@ STRETCH = 4096
 def _blocks(spark: SparkSession, sf_dir: str, preset: str, **more) -> tuple[DataFrame, Law, LadderSchedule, int]:
     p = PRESETS[preset] | more
     placed, law, n = positions(spark, sf_dir, p["source"])
-    s = ladder_schedule(law, p["b0"], p["num"], p["den"], p["fanouts"], n)
+    s = universal_schedule(law, p["b0"], p["slack"], p["num"], p["den"], p["fanouts"], n) if "slack" in p else ladder_schedule(law, p["b0"], p["num"], p["den"], p["fanouts"], n)
     chunk = 1
     for x in s.levels:
         chunk *= x.fanout
@@ -356,18 +356,34 @@ def lz78_length(spark, sf_dir):
 
 
 def lz_settled(spark, sf_dir):
-    blocks, law, s, _ = _blocks(spark, sf_dir, "flag3", b0=64)
-    k0 = s.b0 * 3
-    return blocks.select("blk", (baselines.lz_length(law.k)(F.col("body")) <= k0 - 1).alias("settled"))
+    """Blocks whose LZ code fits the universal preset's words, which are narrower than raw blocks."""
+    return _store(spark, sf_dir, "universal").state.select("blk", "settled")
 
 
 def universal_ladder_profile(spark, sf_dir):
-    """Level-0 and level-1 states when LZ words of a fixed width decide what settles."""
-    blocks, law, s, n = _blocks(spark, sf_dir, "demo3")
-    width = int(1.4 * s.b0)
-    level0 = ladder.with_groups(blocks.withColumn("settled", baselines.lz_length(law.k)(F.col("body")) <= width - 1), s, n)
-    _, groups = ladder.climb(level0, s)
-    return groups[0].agg(F.count("*").alias("groups"), F.sum("open_count").alias("open_blocks"), F.sum((~F.col("settled")).cast("long")).alias("open_groups"))
+    """Blocks and symbols by home level (-1: none) of the universal ladder."""
+    st = _saved_store(spark, sf_dir, "universal")
+    return st.table("blocks").groupBy(F.coalesce("home", F.lit(-1)).alias("home")).agg(F.count("*").alias("blocks"), F.sum("n_sym").alias("symbols"))
+
+
+def universal_read_spans(spark, sf_dir):
+    """Spans from the saved universal store, with the probes that whole cells cost."""
+    st = _saved_store(spark, sf_dir, "universal")
+    return ladder_store.read_spans(st, spans(spark, st.n)).select("req_id", "start", "len", F.when(~F.col("failed"), F.col("value")).alias("value"), "home_max", "probes_full")
+
+
+def universal_update_state(spark, sf_dir):
+    """Blocks read back after whole-block edits of a saved universal store; a block with no home is its raw escape."""
+    blocks, law, s, n = _blocks(spark, sf_dir, "universal")
+    st = ladder_store.save(ladder.encode(blocks, law, s, n), fresh_folder(spark, "edited"))
+    ladder_store.update(st, edits(blocks, n // s.b0, s.b0))
+    return ladder_store.decoded(st, st.table("blocks")).select("blk", F.coalesce("body", "raw").alias("body"), "settled", F.coalesce("home", F.lit(-1)).alias("home"))
+
+
+def universal_update_cost(spark, sf_dir):
+    """Bits that single edits read and write, each against the stored state."""
+    blocks, law, s, n = _blocks(spark, sf_dir, "universal")
+    return ladder.update_costs(ladder.encode(blocks, law, s, n), edits(blocks, n // s.b0, s.b0)).select("edit_id", "blk", "case", "old_home", "new_home", "bits_read", "bits_written")
 
 
 def escape_rate(spark, sf_dir):
@@ -607,7 +623,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
         alphabet_law, source_entropy, dyadic_report, dense_positions, block_cut, block_cut_text, block_histogram, block_settled, typical_set_size, type_index_b16, type_unindex_b16,
         ladder_level0, ladder_level1, ladder_level2, ladder_home_profile, ladder_trace, ladder_failures, ladder_bit_budget, ladder_rate_vs_bound, ladder_roundtrip, ladder_read_symbols, ladder_read_spans,
         ladder_read_cost_full, ladder_read_cost_header, ladder_read_cost_slot, ladder_read_cost_shared, ladder_read_capped, ladder_update_state, stored_update_state, ladder_update_cost, ladder_update_cases, ladder_cost_rollup, top_cost_blocks,
-        span_curve, eps_curve, n_curve, settled_mass_vs_exact, lz78_length, lz_settled, universal_ladder_profile, escape_rate, order_k_entropy,
+        span_curve, eps_curve, n_curve, settled_mass_vs_exact, lz78_length, lz_settled, universal_ladder_profile, universal_read_spans, universal_update_state, universal_update_cost, escape_rate, order_k_entropy,
         ranked_flags, ranked_lengths, ranked_offsets, ranked_rank_select, ranked_read_spans, ranked_select, ranked_update_state, ranked_read_cost, ranked_update_cost, ranked_errors,
         flat_profile, flat_read_update_cost, whole_lz_cost, block_lz_cost, syndrome_store, syndrome_update_bits, spill_probe_levels, addressed_overhead, raw_cost, codec_scoreboard,
         gene_fetch, page_fetch, doc_splice, role_stress, edit_windows_tumbling, edit_windows_sliding, edit_windows_session, edit_asof,

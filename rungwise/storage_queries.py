@@ -10,7 +10,8 @@ from . import oracles as sql
 from .operators import baselines, codeword, dense, escape, ladder, overlap, ranked
 from .operators.blocks import cut_blocks, settled, symbol_count
 from .plans.schedules import ladder_schedule
-from .queries import _blocks, _ranked_store, _store, edits, spans
+from .queries import _blocks, _ranked_store, _saved_store, _store, edits, spans
+from .sources import ladder_store
 from .sources.catalog import SOURCES, class_text, index_rows, positions, read_table
 
 UNITS = 97
@@ -108,16 +109,17 @@ def source_stress(spark, sf_dir):
 
 
 def lz_fixed_word(spark, sf_dir):
-    """Fixed LZ words of three bits a symbol and what they give back."""
-    blocks, law, s, _ = _blocks(spark, sf_dir, "flag3", b0=64)
-    coded = blocks.withColumn("word", escape.lz_word(law.k)(F.col("body"), F.col("n_sym") * 3)).where("word IS NOT NULL")
-    return coded.select("blk", F.length("word").cast("long").alias("bits"), (escape.lz_body(law.k)(F.col("word"), F.col("n_sym")) == F.col("body")).alias("same"))
+    """LZ words of the universal preset, their bits beside raw ones, and whether they give their block back."""
+    st = _saved_store(spark, sf_dir, "universal")
+    blocks, *_ = _blocks(spark, sf_dir, "universal")
+    words = ladder_store.decoded(st, st.table("blocks").where("settled")).select("blk", F.col("body").alias("back"))
+    return words.join(blocks, "blk").select("blk", F.floor(F.col("n_sym") * st.schedule.k0 / st.schedule.b0).alias("bits"), F.col("n_sym").cast("long").alias("raw_bits"), (F.col("back") == F.col("body")).alias("same"))
 
 
 def universal_roundtrip(spark, sf_dir):
-    """Every block back from LZ words, open rows and escapes."""
-    blocks, law, s, n = _blocks(spark, sf_dir, "flag3", b0=64)
-    return escape.universal_bodies(escape.universal_store(blocks, law, s, n, F.floor(F.col("n_sym") * 2.5))).select("blk", "body")
+    """Every block back from the saved LZ words and open rows; a block that no level settled comes from its raw escape."""
+    st = _saved_store(spark, sf_dir, "universal")
+    return ladder_store.decoded(st, st.table("blocks")).select("blk", F.coalesce("body", "raw").alias("body"), F.col("home").isNull().alias("escaped"))
 
 
 def lz_bound_gap(spark, sf_dir):
@@ -198,7 +200,6 @@ priced AS (SELECT level, unnest(['plain', 'radix']) AS variant, unnest([b + 2 *
     "ladder_read_scattered": sql._demo(sql._widths(128), "pts AS (SELECT r AS req_id, (r * 7919 + j * 104729 + 13) % n AS p FROM range(50) a(r), range(16) b(j), nn)")
     + f"SELECT req_id, count(*) AS reads, CAST(sum({sql._FULL.format(h='home')}) AS BIGINT) AS probes FROM (SELECT req_id, least(p // 128, n // 128 - 1) AS blk FROM pts, nn) JOIN home USING (blk), kk GROUP BY req_id",
     "source_stress": sql._with(sql._sym("dc_source"), sql._blk(16), sql._set(1, 2)) + "SELECT blk, settled FROM st",
-    "universal_roundtrip": sql._with(sql._sym("li_flag"), sql._blk(64)) + "SELECT blk, body FROM blk",
     "escape_roundtrip": f"SELECT doc_id, md5({sql._CLASS}) AS digest FROM documents WHERE length(text) > 0",
     "prefix_free_check": "SELECT true AS prefix_free",
     "ranked_roundtrip": sql._ranked + f"SELECT blk, CASE WHEN NOT any_value(failed) THEN string_agg(body, '' ORDER BY sub) END AS body, any_value(failed) AS failed FROM subs JOIN rc USING (blk) GROUP BY blk UNION ALL {sql._TAIL}",
