@@ -127,12 +127,12 @@ def block_words(law: Law, s: RankedSchedule):
 
 
 def sub_bodies(law: Law, s: RankedSchedule):
-    """Bytes that hold a sub-block's bits from bit ``shift`` on, and its flag -> its body; Arrow-batched."""
+    """Bytes that hold a sub-block's bits from bit ``shift`` on, and its flag -> its body, null without bytes; Arrow-batched."""
     _, body = _coder(law, s)
 
     @F.pandas_udf("string")
     def decode(data: pd.Series, shift: pd.Series, length: pd.Series, is_open: pd.Series) -> pd.Series:
-        return pd.Series([body(unpack_bits(d, 8 * len(d))[a : a + n], o) for d, a, n, o in zip(data, shift, length, is_open, strict=True)], dtype=object)
+        return pd.Series([None if d is None else body(unpack_bits(d, 8 * len(d))[a : a + n], o) for d, a, n, o in zip(data, shift, length, is_open, strict=True)], dtype=object)
 
     return decode
 
@@ -155,15 +155,16 @@ def store_of(placed: DataFrame, n: int, law: Law, s: RankedSchedule) -> RankedSt
 def bodies(store: RankedStore, requests: DataFrame) -> DataFrame:
     """``requests`` of sub-blocks with ``body``, from the stored words alone; null in failed blocks.
 
-    Only the bytes that hold a sub-block's bits go to its decoder.
+    Only the bytes that hold a sub-block's bits go to its decoder, none of a failed block: its words outgrow its width,
+    so places behind the payload's end would be read.
     """
     s = store.schedule
     found = locate(store.blocks, requests, s)
     first = F.floor(F.col("payload_start") / 8).cast("int")
     held = F.expr("CAST(floor((payload_start % 8 + len_bits + 7) / 8) AS INT)")
-    data = F.substring("y", first + 1, held)
+    data = F.when(~F.col("failed"), F.substring("y", first + 1, held))
     body = sub_bodies(store.law, s)(data, (F.col("payload_start") % 8).cast("int"), F.col("len_bits").cast("int"), F.col("open").cast("int"))
-    return found.select(*requests.columns, "probes", "failed", "open", F.when(~F.col("failed"), body).alias("body"))
+    return found.select(*requests.columns, "probes", "failed", "open", body.alias("body"))
 
 
 def decode(store: RankedStore) -> DataFrame:

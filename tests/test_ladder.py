@@ -185,3 +185,18 @@ def test_ranked_words_alone_give_back_blocks_spans_and_edits(spark, n, b0, b1):
         assert sorted(map(str, after.blocks.collect())) == sorted(map(str, again.blocks.collect()))
         flags = store.blocks.select("blk", "flags").collect()
         assert sum(bin(f).count("1") for r in flags for f in r.flags) == sum(not 1 <= text[i : i + b1].count("1") <= 3 for i in range(0, n // b0 * b0, b1))
+
+
+def failing_store(spark):
+    """Block 0 is open but for its last sub-blocks, whose places lie behind its payload; block 1 is settled."""
+    text = OPEN * 5 + SETTLED * 2 + SETTLED * 7
+    placed = spark.createDataFrame(list(enumerate(text)), "pos long, ch string")
+    return ranked.store_of(placed, 140, LAW, ranked_schedule(LAW, 70, 10, 1, 2, 0, 2)), text
+
+
+def test_ranked_failed_blocks_are_marked_and_the_others_read(spark):
+    store, text = failing_store(spark)
+    got = {r.blk: r for r in ranked.decode(store).collect()}
+    assert got[0].failed and got[0].body is None and not got[1].failed and got[1].body == text[70:]
+    asked = spark.createDataFrame([(0, 60, 20), (1, 75, 9)], "req_id long, start long, len long")
+    assert {r.req_id: (r.value, r.failed) for r in ranked.answer(store, asked).collect()} == {0: (text[70:80], True), 1: (text[75:84], False)}
