@@ -200,3 +200,13 @@ def test_ranked_failed_blocks_are_marked_and_the_others_read(spark):
     assert got[0].failed and got[0].body is None and not got[1].failed and got[1].body == text[70:]
     asked = spark.createDataFrame([(0, 60, 20), (1, 75, 9)], "req_id long, start long, len long")
     assert {r.req_id: (r.value, r.failed) for r in ranked.answer(store, asked).collect()} == {0: (text[70:80], True), 1: (text[75:84], False)}
+
+
+def test_ranked_updates_with_failed_blocks(spark):
+    """A failed block stays failed; an edit may make another one fail."""
+    store, text = failing_store(spark)
+    edits = lambda rows: spark.createDataFrame(rows, "edit_id long, blk long, sub int, body string")
+    got = {r.blk: r for r in ranked.decode(ranked.update_store(store, edits([(0, 0, 1, SETTLED), (1, 1, 2, SETTLED[::-1])]))).collect()}
+    assert got[0].failed and got[0].body is None and got[1].body == text[70:90] + SETTLED[::-1] + text[100:]
+    got = ranked.decode(ranked.update_store(store, edits([(i, 1, i, OPEN) for i in range(5)]))).collect()
+    assert len(got) == 2 and all(r.failed and r.body is None for r in got)
