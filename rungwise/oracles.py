@@ -145,6 +145,8 @@ ORACLES["flat_profile"] = _demo(_widths(128)) + "SELECT NOT settled AS failed, c
 ORACLES["flat_read_update_cost"] = _demo(_widths(128), _SPANS, _touch(128)) + "SELECT req_id, CAST(sum(k0) AS BIGINT) AS read_bits, CAST(sum(2 * k0) AS BIGINT) AS update_bits FROM touch, kk GROUP BY req_id"
 ORACLES["raw_cost"] = _with(_sym("li_flag"), _SPANS) + "SELECT req_id, len * 2 AS read_bits FROM spans"
 ORACLES["syndrome_store"] = _with(_sym("li_small_qty"), _blk(128), "one AS (SELECT blk, pos % 128 AS j FROM coded, blk WHERE false UNION ALL SELECT blk, i FROM (SELECT blk, body, unnest(range(128)) AS i FROM blk WHERE n_sym = 128) WHERE substr(body, i + 1, 1) = '1')", "cols AS (SELECT j, bit_or(CAST(1 AS BIGINT) << CAST((7919 * (j + 1) + 104729 * (t + 1) * (j + 3) + 31 * t) % 60 AS INTEGER)) AS m FROM range(128) a(j), range(3) b(t) GROUP BY j)") + "SELECT b.blk, coalesce(s, 0) AS syndrome FROM (SELECT blk FROM blk WHERE n_sym = 128) b LEFT JOIN (SELECT blk, bit_xor(m) AS s FROM one JOIN cols USING (j) GROUP BY blk) x USING (blk)"
+_cols = "cols AS (SELECT j, bit_or(CAST(1 AS BIGINT) << CAST((7919 * (j + 1) + 104729 * (t + 1) * (j + 3) + 31 * t) % 60 AS INTEGER)) AS m FROM range(128) a(j), range(3) b(t) GROUP BY j)"
+ORACLES["syndrome_update_bits"] = _with(_sym("li_small_qty"), _blk(128), _cols, "ed AS (SELECT blk, (blk * 7919 + 5) % 128 AS spot, body FROM blk WHERE n_sym = 128)", "forms AS (SELECT blk, 0 AS side, body FROM ed UNION ALL SELECT blk, 1, substr(body, 1, spot) || CASE WHEN substr(body, spot + 1, 1) = '1' THEN '0' ELSE '1' END || substr(body, spot + 2) FROM ed)", "syn AS (SELECT blk, side, bit_xor(m) AS s FROM (SELECT blk, side, body, unnest(range(128)) AS j FROM forms) JOIN cols USING (j) WHERE substr(body, j + 1, 1) = '1' GROUP BY blk, side)") + 'SELECT spot AS "column", CAST(bit_count(xor(coalesce(x.s, 0), coalesce(y.s, 0))) AS BIGINT) AS bits, count(*) AS edits FROM ed LEFT JOIN syn x ON x.blk = ed.blk AND x.side = 0 LEFT JOIN syn y ON y.blk = ed.blk AND y.side = 1 GROUP BY 1, 2'
 ORACLES["codec_scoreboard"] = _demo(_widths(128)) + f"SELECT 'ladder' AS codec, CAST(sum(n_sym * {_FULL.format(h='home')}) AS BIGINT) AS read_bits, count(*) FILTER (home IS NULL) AS failed_blocks FROM home, kk UNION ALL SELECT 'flat', CAST(sum(n_sym * k0) AS BIGINT), count(*) FILTER (NOT settled) FROM home, kk UNION ALL SELECT 'raw', CAST(sum(n_sym) AS BIGINT), 0 FROM home"
 ORACLES["gene_fetch"] = "SELECT doc_id, (doc_id * 7919 + 13) % (length(text) - 63) AS start, substr(text, (doc_id * 7919 + 13) % (length(text) - 63) + 1, 64) AS value FROM documents WHERE length(text) >= 64"
 ORACLES["page_fetch"] = "SELECT page_id, substr(html, (page_id * 7919) % greatest(length(html) - 50, 1) + 1, 50) AS value FROM pages"

@@ -519,9 +519,14 @@ def syndrome_store(spark, sf_dir):
 
 
 def syndrome_update_bits(spark, sf_dir):
-    """Bits of the syndrome that an edit of one symbol flips: the column's weight, whatever the content."""
-    rows = [(i, len(c)) for i, c in enumerate(baselines.syndrome_rows(128, 60))]
-    return spark.createDataFrame(rows, "column long, bits long")
+    """Bits of the syndromes that edits of one symbol flip, one edit a block, by the edited column."""
+    blocks, *_ = _blocks(spark, sf_dir, "demo3")
+    at = (F.col("blk") * 7919 + 5) % 128
+    flipped = F.translate(F.substring("body", (at + 1).cast("int"), F.lit(1)), "01", "10")
+    edited = blocks.withColumn("body", F.overlay("body", flipped, (at + 1).cast("int")))
+    was, now = baselines.syndromes(blocks, 128, 60), baselines.syndromes(edited, 128, 60).withColumnRenamed("syndrome", "edited")
+    bits = F.bit_count(F.col("syndrome").bitwiseXOR(F.col("edited"))).cast("long")
+    return was.join(now, "blk").groupBy(at.alias("column"), bits.alias("bits")).agg(F.count("*").alias("edits"))
 
 
 def spill_probe_levels(spark, sf_dir):

@@ -210,3 +210,11 @@ def test_ranked_updates_with_failed_blocks(spark):
     assert got[0].failed and got[0].body is None and got[1].body == text[70:90] + SETTLED[::-1] + text[100:]
     got = ranked.decode(ranked.update_store(store, edits([(i, 1, i, OPEN) for i in range(5)]))).collect()
     assert len(got) == 2 and all(r.failed and r.body is None for r in got)
+
+
+def test_syndrome_bits_of_edits_count_every_block(spark, sf):
+    got = q.syndrome_update_bits(spark, sf).collect()
+    blocks = q.syndrome_store(spark, sf).collect()
+    weight = [len(c) for c in baselines.syndrome_rows(128, 60)]
+    assert sum(r.edits for r in got) == len(blocks) > 40 and all(r.bits == weight[r.column] for r in got)
+    assert {r.column for r in got} == {(r.blk * 7919 + 5) % 128 for r in blocks}
