@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -14,7 +15,7 @@ from .plans import bounds
 from .plans.schedules import PRESETS, RANKED_DEMO, LadderSchedule, Law, ladder_schedule, ranked_schedule, universal_schedule
 from .sources import ladder_store
 from .sources.catalog import SOURCES, class_text, index_rows, law_of, positions, read_table, symbol_column
-from .sources.shared import fresh_folder
+from .sources.shared import fresh_folder, written
 
 LAW_SOURCES = ("li_flag", "li_status", "li_small_qty", "li_zero_tax", "od_status", "od_prio", "ev_type", "dc_lang", "lb_quality", "lb_toxic", "cv_role")
 N_SPANS, N_EDITS = 200, 100
@@ -461,8 +462,12 @@ def ranked_select(spark, sf_dir):
 
 
 def ranked_update_state(spark, sf_dir):
-    """Every block after edits of sub-blocks, decoded from the updated words."""
+    """Every block after edits of sub-blocks, decoded from the updated words.
+
+    The store is written first: edits, touched blocks, kept blocks and decoder all read it, and would each cut the source anew.
+    """
     store = _ranked_store(spark, sf_dir)
+    store = replace(store, blocks=written(store.blocks, "ranked"), tail=written(store.tail, "tail"))
     s, units = store.schedule, store.n // store.schedule.b0 * store.schedule.subs
     k = spark.range(N_EDITS).select(F.col("id").alias("edit_id"), ((F.col("id") * 7919 + 5) % units).alias("cell"), ((F.col("id") * 6007 + 11) % units).alias("src"))
     at = lambda c: [F.floor(F.col(c) / s.subs).alias("blk"), (F.col(c) % s.subs).cast("int").alias("sub")]

@@ -218,3 +218,9 @@ def test_syndrome_bits_of_edits_count_every_block(spark, sf):
     weight = [len(c) for c in baselines.syndrome_rows(128, 60)]
     assert sum(r.edits for r in got) == len(blocks) > 40 and all(r.bits == weight[r.column] for r in got)
     assert {r.column for r in got} == {(r.blk * 7919 + 5) % 128 for r in blocks}
+
+
+def test_ranked_update_query_cuts_its_source_once(spark, sf):
+    """What the updated store is made of comes from the written words, not from the table again and again."""
+    files = q.ranked_update_state(spark, sf).inputFiles()
+    assert files and not [f for f in files if "lineitem" in f or "/ordered-" in f]
