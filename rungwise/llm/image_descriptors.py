@@ -32,7 +32,7 @@ MIN_RESPONSE = 0.01
 MAX_DISTANCE = 18
 MIN_MATCHES = 4
 #: Pairs of descriptors with an equal band that one task holds at a time (one image's at least).
-MEETINGS = 250_000
+MEETINGS = 120_000
 #: Pixels of one cell of the vote on shifts.
 CELL = 8
 
@@ -195,7 +195,10 @@ def _votes(one: dict, other: dict, p: np.ndarray, q: np.ndarray) -> tuple[np.nda
         cell = (pair * 12 + (turn + t) % 24 // 2) * 3 + ps - qs + 1
         for d, half in ((dx, x), (dy, y)):
             cell = (cell << 8) + np.floor(d / CELL + half / 2).astype(np.int64) + 128
-        placed = np.unique((cell << 17) | corner) >> 17
+        # cells that share a slot are counted together, so nothing that is enough is left out
+        slot = cell % (4 * len(cell) + 1)
+        crowded = np.flatnonzero((np.bincount(slot) >= MIN_MATCHES)[slot])
+        placed = np.unique((cell[crowded] << 17) | corner[crowded]) >> 17
         cells, n = np.unique(placed, return_counts=True)
         np.maximum.at(best, (cells >> 16) // 36, n)
     good = best >= MIN_MATCHES
@@ -213,17 +216,21 @@ def _numbered(img: np.ndarray) -> np.ndarray:
     return np.cumsum(np.r_[False, img[1:] != img[:-1]][: len(img)])
 
 
-def _meetings(one: dict, other: dict) -> list[tuple[np.ndarray, np.ndarray, np.ndarray]]:
-    """By band: ``other``'s descriptors ordered by value, and for each of ``one`` the first place and the number of its equals."""
-    found = []
-    for k in range(4):
-        order, asked = np.argsort(other["bits"][:, k]), np.argsort(one["bits"][:, k])
-        values, needles = other["bits"][order, k], one["bits"][asked, k]
-        low, count = np.empty((2, len(asked)), np.int64)
-        low[asked] = np.searchsorted(values, needles, "left")
-        count[asked] = np.searchsorted(values, needles, "right")
-        found.append((order, low, count - low))
-    return found
+def _meetings(one: dict, other: dict, same: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """``other``'s descriptors by band in the order of its values; by band and descriptor of ``one`` the first place and the number of its equals.
+
+    A block meets itself once: each descriptor's equals are those before it.
+    """
+    order = np.argsort(other["bits"], axis=0, kind="stable").T
+    low, high = np.empty((2, 4, len(one["img"])), np.int64)
+    for k, asked in enumerate(np.argsort(one["bits"], axis=0).T):
+        values, needles = other["bits"][order[k], k], one["bits"][asked, k]
+        low[k, asked] = np.searchsorted(values, needles, "left") + k * len(values)
+        if same:
+            high[k, order[k]] = np.arange(len(values)) + k * len(values)
+        else:
+            high[k, asked] = np.searchsorted(values, needles, "right") + k * len(values)
+    return order.ravel(), low, high - low
 
 
 def _links_between(one: dict, other: dict, same: bool):
@@ -234,33 +241,29 @@ def _links_between(one: dict, other: dict, same: bool):
     """
     if not len(one["img"]) or not len(other["img"]):
         return
-    found, mine, theirs = _meetings(one, other), _numbered(one["img"]), _numbered(other["img"])
-    width = theirs[-1] + 1
-    met_by = [theirs[order] for order, _, _ in found]
+    (order, low, count), mine, theirs = _meetings(one, other, same), _numbered(one["img"]), _numbered(other["img"])
+    width, images, posed = theirs[-1] + 1, theirs[order], [_posed(side["place"]) for side in (one, other)]
     ends = np.r_[np.nonzero(mine[1:] != mine[:-1])[0] + 1, len(mine)]
-    met = np.cumsum(sum(count for _, _, count in found))[ends - 1]
-    posed = [_posed(side["place"]) for side in (one, other)]
+    met = np.cumsum(count.sum(axis=0))[ends - 1]
     first, done, close = 0, 0, []
     while first < len(ends):
         last = max(first + 1, int(np.searchsorted(met, done + MEETINGS, "right")))
         start, end, done = ends[first - 1] if first else 0, ends[last - 1], met[last - 1]
-        row = (mine[start:end] - first) * width
+        n = count[:, start:end].ravel()
+        row = np.tile((mine[start:end] - first) * width, 4)
+        asked = np.repeat(np.arange(len(n)), n)
+        at = (low[:, start:end].ravel() - np.cumsum(n) + n)[asked]
+        at += np.arange(len(at))
+        cell = row[asked]
+        cell += images[at]
         # where meetings are rare, pairs share slots; that counts too many at most, and votes tell the pairs apart
         slots = min((last - first) * width, 2 * MEETINGS + 1)
-        places, cells = [], []
-        for (_, low, count), images in zip(found, met_by, strict=True):
-            n = count[start:end]
-            at = np.repeat(low[start:end] - np.cumsum(n) + n, n)
-            at += np.arange(len(at))
-            places.append(at)
-            cell = np.repeat(row, n) + images[at]
-            cells.append(cell if slots == (last - first) * width else cell % slots)
-        enough = sum(np.bincount(c, minlength=slots) for c in cells) >= MIN_MATCHES
-        kept = [np.flatnonzero(enough[cell]) for cell in cells]
-        p = np.concatenate([np.repeat(np.arange(start, end), count[start:end])[at] for (_, _, count), at in zip(found, kept, strict=True)])
-        q = np.concatenate([order[at[k]] for (order, _, _), at, k in zip(found, places, kept, strict=True)])
-        pair = (np.cumsum(enough) - 1)[np.concatenate([cell[k] for cell, k in zip(cells, kept, strict=True)])]
-        band = np.repeat(np.arange(4), [len(k) for k in kept])
+        if slots < (last - first) * width:
+            cell %= slots
+        enough = np.bincount(cell, minlength=slots) >= MIN_MATCHES
+        kept = np.flatnonzero(enough[cell])
+        (band, p), q, pair = np.divmod(asked[kept], end - start), order[at[kept]], (np.cumsum(enough) - 1)[cell[kept]]
+        p += start
         good = _agreeing(pair, posed[0][p] - posed[1][q])
         if same:
             good &= mine[p] > theirs[q]
